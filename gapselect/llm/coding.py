@@ -12,6 +12,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -31,7 +32,7 @@ def slices(batches: Iterator[pa.RecordBatch], text: int, most: int = 8 << 20) ->
         if not b.num_rows or b.column(text).nbytes <= most:
             yield b
             continue
-        sizes = np.cumsum([0 if x is None else x for x in pa.compute.binary_length(b.column(text)).to_pylist()])
+        sizes = np.cumsum(pc.fill_null(pc.binary_length(b.column(text)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
         i = 0
         while i < b.num_rows:
             done = sizes[i - 1] if i else 0
