@@ -118,7 +118,7 @@ def _sampled(cells: DataFrame, spec: FeatureSpec, k: int, how: str, bands: int,
         col, shift = f"c{j // PER_WORD}", 4 * (j % PER_WORD)
         fields.append(F.shiftright(F.col(col), shift).bitwiseAND(F.lit(0xF)))
     any_null = sum([F.when(f == 0, 1).otherwise(0) for f in fields[1:]], F.when(fields[0] == 0, 1).otherwise(0)) > 0
-    need = keyed.filter(any_null)
+    need = keyed.filter(any_null).toDF(*keyed.columns)
 
     def meet(key, want: pd.DataFrame, have: pd.DataFrame) -> pd.DataFrame:
         """Best ``k`` donors per feature among at most 512 cells of the bucket, spread evenly."""
@@ -168,6 +168,7 @@ def mode_impute(packed: DataFrame, spec: FeatureSpec) -> DataFrame:
     for w in (0, 1):
         value = F.col(f"c{w}")
         for j, f in enumerate(spec.features[w * PER_WORD : (w + 1) * PER_WORD]):
-            value = F.when(F.shiftright(F.col(f"c{w}"), 4 * j).bitwiseAND(F.lit(0xF)) == 0, value.bitwiseOR(F.lit(best.get(f, 0) << 4 * j))).otherwise(value)
+            fill = F.when(F.shiftright(F.col(f"c{w}"), 4 * j).bitwiseAND(F.lit(0xF)) == 0, F.lit(best.get(f, 0) << 4 * j)).otherwise(F.lit(0))
+            value = value.bitwiseOR(fill.cast("long"))
         out = out.withColumn(f"c{w}", value)
     return out
