@@ -13,7 +13,9 @@ from gapselect.sources import formats
 from gapselect.sources.tables import sql, table
 from gapselect.views import DEVICE, STAFF, duck_view, view
 
-COUNT = F.count(F.lit(1))
+def n_rows_of():
+    """count(*); made when asked for, since a column needs a session."""
+    return F.count(F.lit(1))
 
 
 # ---- sources and sinks
@@ -73,7 +75,7 @@ def flt_null(spark, sf):
     some = F.lit(False)
     for f in spec.features:
         some = some | F.col(f).isNull()
-    return rows.groupBy("sg").agg(COUNT.alias("n_rows"), F.count_if(some).alias("with_null"), F.count_if(F.col("qty_bin").eqNullSafe(F.lit(None))).alias("no_qty"))
+    return rows.groupBy("sg").agg(n_rows_of().alias("n_rows"), F.count_if(some).alias("with_null"), F.count_if(F.col("qty_bin").eqNullSafe(F.lit(None))).alias("no_qty"))
 
 
 @query("SELECT p_partkey, p_name, p_brand, p_size FROM part WHERE p_name LIKE 'b%' AND p_brand IN ('Brand#11', 'Brand#22', 'Brand#33') AND p_size BETWEEN 5 AND 40")
@@ -87,13 +89,13 @@ def flt_like_in_between(spark, sf):
 _PER_BRAND = "SELECT p_brand, count(*) AS n_rows FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY p_brand"
 for _name, _hint in (("broadcast", "broadcast"), ("merge", "merge"), ("hash", "shuffle_hash")):
     query(_PER_BRAND, f"join_inner_{_name}")(
-        lambda spark, sf, hint=_hint: table(spark, sf, "lineitem").join(table(spark, sf, "part").select("p_partkey", "p_brand").hint(hint), F.col("l_partkey") == F.col("p_partkey")).groupBy("p_brand").agg(COUNT.alias("n_rows"))
+        lambda spark, sf, hint=_hint: table(spark, sf, "lineitem").join(table(spark, sf, "part").select("p_partkey", "p_brand").hint(hint), F.col("l_partkey") == F.col("p_partkey")).groupBy("p_brand").agg(n_rows_of().alias("n_rows"))
     )
 
 
 @query("SELECT p_partkey, coalesce(c, 0) AS n_lines FROM part LEFT JOIN (SELECT l_partkey, count(*) AS c FROM lineitem WHERE l_quantity > 45 GROUP BY l_partkey) ON p_partkey = l_partkey")
 def join_left_counts(spark, sf):
-    c = table(spark, sf, "lineitem").filter("l_quantity > 45").groupBy("l_partkey").agg(COUNT.alias("c"))
+    c = table(spark, sf, "lineitem").filter("l_quantity > 45").groupBy("l_partkey").agg(n_rows_of().alias("c"))
     return table(spark, sf, "part").join(c, F.col("p_partkey") == F.col("l_partkey"), "left").select("p_partkey", F.coalesce("c", F.lit(0)).alias("n_lines"))
 
 
@@ -111,7 +113,7 @@ def join_full_hist(spark, sf):
     e = mi.groupBy("sg").agg(F.min("mi").alias("low"), F.max("mi").alias("high"))
     place = F.when(F.col("high") > F.col("low"), F.least(F.floor((F.col("mi") - F.col("low")) * 20 / (F.col("high") - F.col("low"))), F.lit(19))).otherwise(0).cast("int")
     b = mi.join(e, "sg").select("sg", "level", place.alias("bin"))
-    x, z = b.groupBy("sg", "bin").agg(COUNT.alias("all_sets")), b.filter("level <= 2").groupBy("sg", "bin").agg(COUNT.alias("small_sets"))
+    x, z = b.groupBy("sg", "bin").agg(n_rows_of().alias("all_sets")), b.filter("level <= 2").groupBy("sg", "bin").agg(n_rows_of().alias("small_sets"))
     return x.join(z, ["sg", "bin"], "full").fillna(0, ["all_sets", "small_sets"])
 
 
@@ -161,7 +163,7 @@ def join_theta_dist(spark, sf):
 @query("""SELECT b, count(*) AS n_rows FROM orders JOIN (VALUES (0, 0.0, 50000.0), (1, 50000.0, 150000.0), (2, 150000.0, 300000.0), (3, 300000.0, 1e9)) t(b, lo, hi) ON o_totalprice > lo AND o_totalprice <= hi GROUP BY b""")
 def join_range_bins(spark, sf):
     bins = spark.createDataFrame([(0, 0.0, 50000.0), (1, 50000.0, 150000.0), (2, 150000.0, 300000.0), (3, 300000.0, 1e9)], "b int, lo double, hi double")
-    return joins.range_join(table(spark, sf, "orders"), bins, "o_totalprice", "lo", "hi").groupBy("b").agg(COUNT.alias("n_rows"))
+    return joins.range_join(table(spark, sf, "orders"), bins, "o_totalprice", "lo", "hi").groupBy("b").agg(n_rows_of().alias("n_rows"))
 
 
 @query("""SELECT e.event_id, p.value AS last_value FROM (SELECT * FROM events WHERE event_type = 'error') e ASOF LEFT JOIN (SELECT user_id, ts, max(value) AS value FROM events WHERE event_type = 'purchase' GROUP BY user_id, ts) p
@@ -191,7 +193,7 @@ def join_self_xor(spark, sf):
 @query("SELECT l_returnflag, l_linestatus, count(*) AS n_rows, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS qty, round(avg(l_extendedprice), 4) AS avg_price, min(l_discount) AS lo, max(l_discount) AS hi FROM lineitem GROUP BY ALL")
 def agg_basic(spark, sf):
     return table(spark, sf, "lineitem").groupBy("l_returnflag", "l_linestatus").agg(
-        COUNT.alias("n_rows"), F.sum(F.col("l_quantity").cast("long")).alias("qty"), F.round(F.avg("l_extendedprice"), 4).alias("avg_price"), F.min("l_discount").alias("lo"), F.max("l_discount").alias("hi")
+        n_rows_of().alias("n_rows"), F.sum(F.col("l_quantity").cast("long")).alias("qty"), F.round(F.avg("l_extendedprice"), 4).alias("avg_price"), F.min("l_discount").alias("lo"), F.max("l_discount").alias("hi")
     )
 
 
@@ -218,41 +220,41 @@ def agg_filter(spark, sf):
 @query(f"""WITH j AS (SELECT sg, key_fifth, y, count(*) AS c FROM ({duck_view("v_device")}) GROUP BY ALL)
           SELECT *, CAST(sum(c) OVER (PARTITION BY sg, key_fifth) AS BIGINT) AS c_f, CAST(sum(c) OVER (PARTITION BY sg, y) AS BIGINT) AS c_y FROM j""")
 def agg_contingency(spark, sf):
-    j = view(spark, sf, "v_device").groupBy("sg", "key_fifth", "y").agg(COUNT.alias("c"))
+    j = view(spark, sf, "v_device").groupBy("sg", "key_fifth", "y").agg(n_rows_of().alias("c"))
     return j.withColumns({"c_f": F.sum("c").over(Window.partitionBy("sg", "key_fifth")), "c_y": F.sum("c").over(Window.partitionBy("sg", "y"))})
 
 
 @query("SELECT l_returnflag, l_linestatus, CAST(GROUPING_ID(l_returnflag, l_linestatus) AS BIGINT) AS gid, count(*) AS n_rows FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), (l_returnflag, l_linestatus))")
 def agg_grouping_sets(spark, sf):
     a, b = F.col("l_returnflag"), F.col("l_linestatus")
-    return table(spark, sf, "lineitem").groupingSets([[a], [b], [a, b]], a, b).agg(F.grouping_id().alias("gid"), COUNT.alias("n_rows"))
+    return table(spark, sf, "lineitem").groupingSets([[a], [b], [a, b]], a, b).agg(F.grouping_id().alias("gid"), n_rows_of().alias("n_rows"))
 
 
 @query("SELECT l_returnflag, l_linestatus, CAST(GROUPING_ID(l_returnflag, l_linestatus) AS BIGINT) AS gid, count(*) AS n_rows FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)")
 def agg_cube2(spark, sf):
-    return table(spark, sf, "lineitem").cube("l_returnflag", "l_linestatus").agg(F.grouping_id().alias("gid"), COUNT.alias("n_rows"))
+    return table(spark, sf, "lineitem").cube("l_returnflag", "l_linestatus").agg(F.grouping_id().alias("gid"), n_rows_of().alias("n_rows"))
 
 
 @query("SELECT r_name, n_name, CAST(GROUPING_ID(r_name, n_name) AS BIGINT) AS gid, count(*) AS n_rows FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ROLLUP (r_name, n_name)")
 def agg_rollup(spark, sf):
     c = table(spark, sf, "customer").join(table(spark, sf, "nation"), F.col("c_nationkey") == F.col("n_nationkey")).join(table(spark, sf, "region"), F.col("n_regionkey") == F.col("r_regionkey"))
-    return c.rollup("r_name", "n_name").agg(F.grouping_id().alias("gid"), COUNT.alias("n_rows"))
+    return c.rollup("r_name", "n_name").agg(F.grouping_id().alias("gid"), n_rows_of().alias("n_rows"))
 
 
 @query("SELECT l_linenumber, CAST(count(*) FILTER (l_linestatus = 'F') AS BIGINT) AS F, CAST(count(*) FILTER (l_linestatus = 'O') AS BIGINT) AS O FROM lineitem GROUP BY l_linenumber")
 def agg_pivot(spark, sf):
-    return table(spark, sf, "lineitem").groupBy("l_linenumber").pivot("l_linestatus", ["F", "O"]).agg(COUNT).fillna(0)
+    return table(spark, sf, "lineitem").groupBy("l_linenumber").pivot("l_linestatus", ["F", "O"]).agg(n_rows_of()).fillna(0)
 
 
 @query("SELECT feature, code, count(*) AS n_rows FROM (UNPIVOT (SELECT l_linenumber AS line_no, CAST(floor((l_quantity - 1) / 6) AS INTEGER) AS qty FROM lineitem) ON line_no, qty INTO NAME feature VALUE code) GROUP BY ALL")
 def agg_unpivot(spark, sf):
     wide = table(spark, sf, "lineitem").select(F.col("l_linenumber").alias("line_no"), F.floor((F.col("l_quantity") - 1) / 6).cast("int").alias("qty"))
-    return wide.unpivot([], ["line_no", "qty"], "feature", "code").groupBy("feature", "code").agg(COUNT.alias("n_rows"))
+    return wide.unpivot([], ["line_no", "qty"], "feature", "code").groupBy("feature", "code").agg(n_rows_of().alias("n_rows"))
 
 
 @query(f"SELECT sg, type FROM (SELECT sg, type, row_number() OVER (PARTITION BY sg ORDER BY count(*) DESC, type) AS r FROM ({duck_view('v_device')}) GROUP BY sg, type) WHERE r = 1")
 def agg_mode(spark, sf):
-    c = view(spark, sf, "v_device").groupBy("sg", "type").agg(COUNT.alias("c"))
+    c = view(spark, sf, "v_device").groupBy("sg", "type").agg(n_rows_of().alias("c"))
     return c.withColumn("r", F.row_number().over(Window.partitionBy("sg").orderBy(F.desc("c"), "type"))).filter("r = 1").select("sg", "type")
 
 
@@ -284,7 +286,7 @@ def win_running(spark, sf):
     packed, spec = prepared(spark, sf, "v_credit", 6)
     w = Window.partitionBy("sg").orderBy(F.round("mi", 9), "mask").rowsBetween(Window.unboundedPreceding, 0)
     mi = info.lattice_mi(packed, spec, level(6, 1, 3))
-    return mi.select("sg", "mask", F.round(COUNT.over(w) / COUNT.over(Window.partitionBy("sg")), 6).alias("cdf"))
+    return mi.select("sg", "mask", F.round(n_rows_of().over(w) / n_rows_of().over(Window.partitionBy("sg")), 6).alias("cdf"))
 
 
 @query("SELECT event_id, round(sum(value) OVER (PARTITION BY user_id ORDER BY t RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW), 4) + 0.0 AS v FROM (SELECT *, CAST(floor(epoch(ts)) AS BIGINT) AS t FROM events)")
@@ -384,7 +386,7 @@ def fn_array(spark, sf):
 
 @query("SELECT o_orderstatus AS k, count(*) AS v FROM orders GROUP BY o_orderstatus")
 def fn_map(spark, sf):
-    c = table(spark, sf, "orders").groupBy("o_orderstatus").agg(COUNT.alias("c"))
+    c = table(spark, sf, "orders").groupBy("o_orderstatus").agg(n_rows_of().alias("c"))
     m = c.agg(F.map_from_entries(F.collect_list(F.struct("o_orderstatus", "c"))).alias("m"))
     return m.select(F.explode("m").alias("k", "v"))
 
@@ -396,7 +398,7 @@ def fn_struct(spark, sf):
 
 @query("SELECT CAST(floor(CAST(json_extract_string(props, '$.k') AS INTEGER) / 10) AS INTEGER) AS band, count(*) AS n_rows FROM events GROUP BY band")
 def fn_json(spark, sf):
-    return table(spark, sf, "events").groupBy(F.floor(F.get_json_object("props", "$.k").cast("int") / 10).cast("int").alias("band")).agg(COUNT.alias("n_rows"))
+    return table(spark, sf, "events").groupBy(F.floor(F.get_json_object("props", "$.k").cast("int") / 10).cast("int").alias("band")).agg(n_rows_of().alias("n_rows"))
 
 
 @query("SELECT vec_id, round(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * x)), 4) AS norm2 FROM embeddings")
@@ -469,7 +471,7 @@ _ENT = "SELECT l_linenumber, round(log2(sum(c)) - sum(c * log2(c)) / sum(c), 6)
 def udf_pandas_entropy(spark, sf):
     from gapselect.functions.sql_functions import entropy_of
 
-    c = table(spark, sf, "lineitem").groupBy("l_linenumber", "l_returnflag").agg(COUNT.alias("c"))
+    c = table(spark, sf, "lineitem").groupBy("l_linenumber", "l_returnflag").agg(n_rows_of().alias("c"))
     return c.groupBy("l_linenumber").agg(F.sort_array(F.collect_list("c")).alias("c")).select("l_linenumber", F.round(entropy_of()("c"), 6).alias("h"))
 
 
@@ -477,7 +479,7 @@ def udf_pandas_entropy(spark, sf):
 def udaf_entropy(spark, sf):
     from gapselect.functions.sql_functions import entropy_agg
 
-    c = table(spark, sf, "lineitem").groupBy("l_linenumber", "l_returnflag").agg(COUNT.alias("c"))
+    c = table(spark, sf, "lineitem").groupBy("l_linenumber", "l_returnflag").agg(n_rows_of().alias("c"))
     return c.groupBy("l_linenumber").agg(entropy_agg()("c").alias("h")).withColumn("h", F.round("h", 6))
 
 
