@@ -91,59 +91,84 @@ def repeated_words(words: Column, width: int = WINDOW) -> Column:
     return F.when(F.size(words) < width + 1, F.lit(0)).otherwise(_let(F.transform(words, lambda w: F.xxhash64(w)), hashed)).cast("long")
 
 
-def base_measures(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
-    """id, counts, and the parts of the ratios."""
-    text = as_text(text_col)
-    base = docs.select(F.col(id_col).alias("__id"), text.alias("__text"), words_of(text).alias("__words"))
-    lines = F.filter(F.split(F.col("__text"), "\n"), lambda x: F.length(F.translate(x, " \t\n\x0b\x0c\r", "")) > 0)
-    joined = F.array_join("__words", "")
-    out = base.select(
-        F.col("__id").alias(id_col),
-        F.size("__words").cast("long").alias("n_words"),
-        F.length(joined).cast("long").alias("word_chars"),
-        (F.length(joined) - F.length(F.translate(joined, "#*$%&|<>", ""))).cast("long").alias("n_symbols"),
-        _let(lines, lambda x: F.struct(F.size(x).cast("long").alias("n"), F.size(F.array_distinct(x)).cast("long").alias("d"))).alias("__lines"),
-        repeated_words(F.col("__words")).alias("n_repeat_words"),
-        F.size(F.filter("__words", lambda w: F.lower(w).isin(STOP_WORDS))).cast("long").alias("n_stop_words"),
-        F.coalesce(F.array_max(F.transform("__words", lambda w: F.length(w))), F.lit(0)).cast("long").alias("longest_word"),
-    )
-    return out.withColumns({"n_lines": F.col("__lines.n"), "n_dup_lines": F.col("__lines.n") - F.col("__lines.d")}).drop("__lines")
+def counts(words: Column, text: Column) -> dict[str, Column]:
+    """What the ratios are made of, from the words of a text and the text."""
+    lines = F.filter(F.split(text, "\n"), lambda x: F.length(F.translate(x, " \t\n\x0b\x0c\r", "")) > 0)
+    joined = F.array_join(words, "")
+    return {
+        "n_words": F.size(words).cast("long"),
+        "word_chars": F.length(joined).cast("long"),
+        "n_symbols": (F.length(joined) - F.length(F.translate(joined, "#*$%&|<>", ""))).cast("long"),
+        "lines": _let(lines, lambda x: F.struct(F.size(x).cast("long").alias("n"), F.size(F.array_distinct(x)).cast("long").alias("d"))),
+        "n_repeat_words": repeated_words(words),
+        "n_stop_words": F.size(F.filter(words, lambda w: F.lower(w).isin(STOP_WORDS))).cast("long"),
+        "longest_word": F.coalesce(F.array_max(F.transform(words, lambda w: F.length(w))), F.lit(0)).cast("long"),
+    }
+
 
+def ratios(of) -> dict[str, Column]:
+    """Measures of the rules; ``of(name)`` gives a count."""
 
-def ratios() -> dict[str, Column]:
-    def over(a: str, b: str) -> Column:
-        return F.when(F.col(b) > 0, F.col(a) / F.col(b)).otherwise(F.lit(0.0))
+    def over(a: Column, b: Column) -> Column:
+        return F.when(b > 0, a / b).otherwise(F.lit(0.0))
 
     return {
-        "mean_word_length": over("word_chars", "n_words"),
-        "symbols_per_word": over("n_symbols", "n_words"),
-        "dup_line_ratio": over("n_dup_lines", "n_lines"),
-        "stop_word_ratio": over("n_stop_words", "n_words"),
+        "mean_word_length": over(of("word_chars"), of("n_words")),
+        "symbols_per_word": over(of("n_symbols"), of("n_words")),
+        "dup_line_ratio": over(of("n_dup_lines"), of("n_lines")),
+        "stop_word_ratio": over(of("n_stop_words"), of("n_words")),
+        "longest_word": of("longest_word"),
     }
 
 
-def verdict(rules: tuple[Rule, ...] = RULES) -> Column:
+def verdict(measures: dict[str, Column], rules: tuple[Rule, ...] = RULES) -> Column:
     """All rows of the table as one boolean expression."""
     out = F.lit(True)
     for r in rules:
         if r.lowest is not None:
-            out &= F.col(r.measure) >= F.lit(r.lowest)
+            out &= measures[r.measure] >= F.lit(r.lowest)
         if r.highest is not None:
-            out &= F.col(r.measure) <= F.lit(r.highest)
+            out &= measures[r.measure] <= F.lit(r.highest)
     return out
 
 
+def base_failed(of) -> Column:
+    return (of("n_words") < 20) | (100 * of("n_repeat_words") > 30 * of("n_words"))
+
+
+def measured(text: Column) -> Column:
+    """All counts of a text as one struct; words are taken once."""
+    return _let(words_of(text), lambda w: F.struct(*[c.alias(k) for k, c in counts(w, text).items()]))
+
+
+def _field(s: Column):
+    """Counts of the struct by name; the two line counts are one field of it."""
+
+    def of(name: str) -> Column:
+        if name == "n_lines":
+            return s["lines"]["n"]
+        return s["lines"]["n"] - s["lines"]["d"] if name == "n_dup_lines" else s[name]
+
+    return of
+
+
 def quality_rules(docs: DataFrame, rules: tuple[Rule, ...] = RULES, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
-    """id, all measures, base_failed and kept."""
-    measured = base_measures(docs, text_col, id_col).withColumns(ratios())
-    failed = (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words"))
-    return measured.withColumn("base_failed", failed).withColumn("kept", ~F.col("base_failed") & verdict(rules))
+    """id, all counts and measures, base_failed and kept."""
+    base = docs.select(F.col(id_col).alias("__id"), measured(as_text(text_col)).alias("__m"))
+    of = _field(F.col("__m"))
+    names = ["n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words", "n_stop_words"]
+    parts = ratios(of)
+    return base.select(
+        F.col("__id").alias(id_col), *[of(n).alias(n) for n in names], *[c.alias(k) for k, c in parts.items()],
+        base_failed(of).alias("base_failed"), (~base_failed(of) & verdict(parts, rules)).alias("kept"),
+    )
 
 
 def filter_quality(docs: DataFrame, rules: tuple[Rule, ...] = RULES, text_col: str = "text") -> DataFrame:
-    """``docs`` without the rejected rows, by one map over the rows: no join, no shuffle."""
-    keep = "__quality"
-    names = docs.columns
-    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("__row"))
-    judged = quality_rules(packed.select("__row", F.col(f"__row.`{text_col}`").alias("__t")), rules, "__t", "__row").withColumnRenamed("kept", keep)
-    return judged.filter(keep).select(*[F.col(f"__row.`{c}`").alias(c) for c in names])
+    """``docs`` without the rejected rows: one filter, no join, no shuffle."""
+
+    def keep(m: Column) -> Column:
+        of = _field(m)
+        return ~base_failed(of) & verdict(ratios(of), rules)
+
+    return docs.filter(_let(measured(as_text(text_col)), keep))
