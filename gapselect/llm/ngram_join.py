@@ -17,8 +17,9 @@ Sets that are equal are one node. A set that links to another shares at least
    it there.
 
 Groups are not expanded into pairs. A few pivots per group are compared with all members
-(rows, not squares); components follow; only members outside a group's largest component
-are then compared with what they are not yet connected to. Every comparison walks the tree
+(rows, not squares) and components follow, for large groups turn by turn with other pivots
+while that closes a good part of what is open; only members outside a
+group's largest component are then compared with what they are not yet connected to. Every comparison walks the tree
 of the compared sets with the pivot's set: overlap counted on a shared trunk is kept for
 all paths below it, and a subtree is left as soon as the overlap so far plus the remaining
 length cannot reach the bound. No cap: every pair that could link is either compared or
@@ -41,6 +42,8 @@ from gapselect.llm.components import connected_components
 from gapselect.llm.shingles import mix, shingle_sets
 
 WIDTH, PERCENT = 4, 85
+#: Groups with more members than this get further turns of pivots before the last stage.
+LARGE = 64
 _FILTER_BITS = 1 << 20
 _SALT = np.uint64(0xD1B54A32D192ED03)
 
@@ -95,7 +98,7 @@ def _sieve(docs: DataFrame, total: int, width: int, percent: int) -> DataFrame:
             shared[:-1] |= same[1:]
             node = np.array(nodes, np.int64)
             live = np.bincount(where[order][shared], minlength=len(nodes)).astype(np.int32)
-            flags, alone = st[shared & ~same], order[~shared]
+            flags, alone = st[shared & ~same], np.sort(order[~shared])  # by document, so that its rows stay together
             none, zero = np.int64(-1), np.int32(0)
             cols = (
                 np.concatenate([t[alone], flags, mix(node.astype(np.uint64))]).view(np.int64),
@@ -120,7 +123,7 @@ def _sieve(docs: DataFrame, total: int, width: int, percent: int) -> DataFrame:
                 s = min(len(found), p + (p + 1) // 2)
                 tokens.append(found[:s]), nodes.append(node), sizes.append(s), needs.append(s - p + 1)
                 count += s
-                if count > 2_000_000:
+                if count > 400_000:
                     yield from flush()
                     block += 1
                     tokens, nodes, needs, sizes, count = [], [], [], [], 0
@@ -148,7 +151,7 @@ def _sieve(docs: DataFrame, total: int, width: int, percent: int) -> DataFrame:
             names=["node", "task", "live", "need"],
         )
 
-    parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), total // 4 // 2_000_000 + 1)
+    parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), total // 4 // 500_000 + 1)
     sent = docs.select("text").mapInArrow(offer, "token long, node long, live int, need int, task long").repartition(parts, "token")
     told = sent.mapInArrow(meet, "node long, task long, live long, need long")
     able = told.groupBy("node", "task").agg(F.sum("live").alias("live"), F.max("need").alias("need")).filter("live >= need")
@@ -234,26 +237,65 @@ def _compare(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return joined.mapInArrow(run, "a long, b long, ok boolean")
 
 
-def _fits(a: str, b: str, percent: int):
-    return 100 * F.least(a, b) >= percent * F.greatest(a, b)
+def _fits(x: str, y: str, percent: int):
+    """Whether two paths that first meet here, from the rare end, can still link: what is
+    left of either one, this step included, must reach the overlap that their sizes ask."""
+    return (100 + percent) * F.least(f"{x}left", f"{y}left") >= percent * (F.col(f"{x}n") + F.col(f"{y}n"))
 
 
-def _with_components(group: DataFrame, links: DataFrame | None) -> DataFrame:
-    if links is None:
-        return group.withColumn("comp", F.col("node"))
-    label = connected_components(links.select(F.col("a").alias("u"), F.col("b").alias("v")))
-    return durable(group.join(label, "node", "left").withColumn("comp", F.coalesce("component", "node")).drop("component"))
+def components_of_links(links: DataFrame, per_task: int = 200_000) -> DataFrame:
+    """(node, component) of the nodes of links (a, b). Tasks first join what they hold, at
+    most about ``per_task`` links each, into stars; where more than one task was needed,
+    the stars meet in rounds over all of them."""
+
+    def contract(batches):
+        root: dict[int, int] = {}
+
+        def find(x: int) -> int:
+            while root[x] != x:
+                root[x] = root[root[x]]
+                x = root[x]
+            return x
+
+        for batch in batches:
+            for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                ra, rb = find(root.setdefault(a, a)), find(root.setdefault(b, b))
+                root[max(ra, rb)] = min(ra, rb)
+        nodes = np.fromiter(root, np.int64, len(root))
+        yield pa.RecordBatch.from_arrays([pa.array(nodes), pa.array(np.fromiter(map(find, root), np.int64, len(root)))], names=["node", "component"])
+
+    parts = links.count() // per_task + 1
+    stars = links.select("a", "b").coalesce(parts).mapInArrow(contract, "node long, component long")
+    if parts == 1:
+        return stars
+    return connected_components(stars.select(F.col("node").alias("u"), F.col("component").alias("v")))
+
+
+def _still_open(group: DataFrame, links: DataFrame) -> DataFrame:
+    """Rows of groups that hold more than one component, with components by ``links``.
+    Groups of two are done once a pivot was compared with the other member."""
+    label = components_of_links(links)
+    named = group.drop("comp", "m").join(label, "node", "left").withColumn("comp", F.coalesce("component", "node")).drop("component")
+    several = named.groupBy("token").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1"), F.count(F.lit(1)).alias("m")).filter("c0 <> c1 AND m > 2")
+    return durable(named.join(several.select("token", "m"), "token"))
 
 
 def _pivot_pairs(group: DataFrame, turn: int, pivots: int, percent: int) -> DataFrame:
     """Pairs of every member with its group's pivots, where not yet connected."""
-    picks = [F.min(F.struct(F.xxhash64("node", F.lit(turn * pivots + k)).alias("h"), "node", "n", "comp")).alias(f"p{k}") for k in range(pivots)]
+    picks = [F.min(F.struct(F.xxhash64("node", F.lit(turn * pivots + k)).alias("h"), "node", "n", "left", "comp")).alias(f"p{k}") for k in range(pivots)]
     chosen = group.groupBy("token").agg(*picks, F.min("comp").alias("c0"), F.max("comp").alias("c1")).filter("c0 <> c1")
     each = chosen.select("token", F.explode(F.array(*[f"p{k}" for k in range(pivots)])).alias("p"))
-    met = group.join(each, "token").filter((F.col("comp") != F.col("p.comp")) & _fits("n", "p.n", percent))
+    met = group.join(each, "token").filter((F.col("comp") != F.col("p.comp")) & _fits("", "p.", percent))
     return met.select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b")).distinct()
 
 
+def _open_pairs(group: DataFrame) -> tuple[int, int]:
+    """Pairs that the last stage would have to look at (members outside their group's
+    largest component times the group), and rows."""
+    sized = group.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("k")).groupBy("token").agg(F.sum("k").alias("all"), F.max("k").alias("main"))
+    return tuple(sized.agg(F.coalesce(F.sum((F.col("all") - F.col("main")) * F.col("all")), F.lit(0)), F.coalesce(F.sum("all"), F.lit(0))).first())
+
+
 def _rest_pairs(group: DataFrame, percent: int) -> DataFrame:
     """All pairs of a group that are not connected: of members outside the group's largest
     component with every other member."""
@@ -261,7 +303,7 @@ def _rest_pairs(group: DataFrame, percent: int) -> DataFrame:
     top = sized.groupBy("token").agg(F.max(F.struct("m", "comp")).alias("top"), F.count(F.lit(1)).alias("k")).filter("k > 1").select("token", F.col("top.comp").alias("main"))
     out = group.join(top, "token").filter("comp <> main")
     x, y = out.alias("x"), group.alias("y")
-    met = x.join(y, F.col("x.token") == F.col("y.token")).filter((F.col("x.comp") != F.col("y.comp")) & _fits("x.n", "y.n", percent))
+    met = x.join(y, F.col("x.token") == F.col("y.token")).filter((F.col("x.comp") != F.col("y.comp")) & _fits("x.", "y.", percent))
     return met.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
 
 
@@ -282,29 +324,48 @@ def link_components(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT,
     return out.select(F.col("doc_id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
 
 
-def _components_of(sets: DataFrame, percent: int, pivots: int, turns: int) -> DataFrame | None:
+def _components_of(sets: DataFrame, percent: int, pivots: int, turns: int, most_turns: int = 10) -> DataFrame | None:
     """(node, component) of the nodes that link; None if there are none."""
     every = sets.select("node", "n", F.explode("tokens").alias("token"))
     common = every.groupBy("token").agg(F.count(F.lit(1)).alias("df")).filter("df > 1")
     shared = every.join(common, "token").groupBy("node", "n").agg(F.sort_array(F.collect_list(F.struct("df", "token")), asc=False).alias("t"))
     # ceil(percent * n / 100) shared shingles at least; the others of the set are in no other set
     ordered = durable(shared.filter(100 * F.size("t") >= percent * F.col("n")).select("node", "n", F.col("t.token").alias("tokens")))
-    size = F.size("tokens")
-    end = (size - F.ceil(percent * F.col("n") / 100) + 1).cast("int")
-    group = ordered.select("node", "n", F.explode(F.slice("tokens", size - end + 1, end)).alias("token"))
+    # a step further than ceil(percent * n / 100) from the trunk is where a path may first meet another
+    low = F.ceil(percent * F.col("n") / 100).cast("int")
+    steps = ordered.select("node", "n", low.alias("low"), F.posexplode(F.slice("tokens", low, F.size("tokens"))).alias("k", "token"))
+    group = steps.select("node", "n", "token", (F.col("low") + F.col("k")).alias("left"))
     several = group.groupBy("token").agg(F.count(F.lit(1)).alias("m")).filter("m > 1").select("token")
-    group = durable(group.join(several, "token"))
+    group = durable(group.join(several, "token").withColumn("comp", F.col("node")))
+    if group.isEmpty():
+        return None
     tried, links = None, None
-    for turn in range(turns + 1):
-        labelled = _with_components(group, links)
-        pairs = _pivot_pairs(labelled, turn, pivots, percent) if turn < turns else _rest_pairs(labelled, percent)
+
+    def compare(pairs: DataFrame) -> None:
+        nonlocal tried, links
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         seen = durable(_compare(pairs, ordered, percent))
-        tried = seen.select("a", "b") if tried is None else tried.unionByName(seen.select("a", "b"))
         good = seen.filter("ok").select("a", "b")
+        tried = seen.select("a", "b") if tried is None else tried.unionByName(seen.select("a", "b"))
         links = good if links is None else links.unionByName(good)
-    return connected_components(links.select(F.col("a").alias("u"), F.col("b").alias("v")))
+
+    for turn in range(turns):
+        compare(_pivot_pairs(group, turn, pivots, percent))
+        group = _still_open(group, links)
+    # Large groups get more turns while that closes a tenth or more of what is open there.
+    large, before = group.filter(F.col("m") > LARGE), None
+    for turn in range(turns, most_turns):
+        now, rows = _open_pairs(large)
+        if now <= 2 * rows or before is not None and now > 0.9 * before:
+            break
+        before = now
+        compare(_pivot_pairs(large, turn, 2 * pivots, percent))
+        large = _still_open(large, links)
+    if before is not None:
+        group = _still_open(group, links)
+    compare(_rest_pairs(group, percent))
+    return components_of_links(links)
 
 
 def one_of_each(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -80,6 +80,17 @@ def test_one_of_each(spark):
     assert {r.doc_id for r in out.collect()} == {i for i, (_, c) in want.items() if i == c} and out.columns == ["doc_id", "text"]
 
 
+def test_components_of_links(spark):
+    from gapselect.llm.ngram_join import components_of_links
+
+    links = [(i, i + 3) for i in range(60)] + [(200, 201), (201, 200), (300, 300)]
+    df = spark.createDataFrame(links, "a long, b long").repartition(4)
+    want = {i: i % 3 for i in range(63)} | {200: 200, 201: 200, 300: 300}
+    for per_task in (5, 1000):
+        got = {r.node: r.component for r in components_of_links(df, per_task).collect()}
+        assert {k: v for k, v in got.items() if k != 300} == {k: v for k, v in want.items() if k != 300}
+
+
 def test_components(spark):
     from gapselect.llm.components import connected_components
 
