@@ -195,7 +195,7 @@ def mi_from(built: DataFrame, estimator: str = "plugin", log_base: str = "2") ->
     return built.select("sg", F.col("mask").cast("long").alias("mask"), F.bit_count("mask").cast("int").alias("level"), value.alias("mi"), "n")
 
 
-def lattice_counts(packed: DataFrame, spec: FeatureSpec, masks: list[int], sharing: str = "cuboid", block_size: int = 6, q: int | None = None) -> tuple[DataFrame, int]:
+def lattice_counts(packed: DataFrame, spec: FeatureSpec, masks: list[int], sharing: str = "cuboid", block_size: int | None = None, q: int | None = None) -> tuple[DataFrame, int]:
     q = q or states(packed)
     if sharing == "none":
         return counts_unshared(packed, masks, q), q
@@ -204,7 +204,9 @@ def lattice_counts(packed: DataFrame, spec: FeatureSpec, masks: list[int], shari
     if sharing == "rollup":
         return counts_rollup(packed, masks, q, spec.n), q
     if sharing == "blocks":
-        return counts_blocks(packed, masks, q, spec.n, max(block_size, max(m.bit_count() for m in masks))), q
+        deepest = max(m.bit_count() for m in masks)
+        size = block_size or {1: 2, 2: 4}.get(deepest, 6)  # small sets fill small cuboids, which stay in a task's memory
+        return counts_blocks(packed, masks, q, spec.n, max(size, deepest)), q
     if sharing == "grouping_sets":
         return counts_grouping_sets(packed, masks, q, spec), q
     raise ValueError(f"unknown sharing {sharing}")

@@ -168,8 +168,8 @@ def _mi_query(name: str, view_name: str, low: int, high: int, n: int | None = No
     query(sql, name)(run)
 
 
-_mi_query("mi_single_staff", "v_staff", 1, 1)
-_mi_query("mi_single_staff_natural", "v_staff", 1, 1, target="y_natural")
+_mi_query("mi_single_staff", "v_staff", 1, 1, sharing="blocks")
+_mi_query("mi_single_staff_natural", "v_staff", 1, 1, target="y_natural", sharing="blocks")
 _mi_query("mi_single_credit", "v_credit", 1, 1)
 _mi_query("mi_single_credit_toxic", "v_credit", 1, 1, target="y_toxic")
 _mi_query("mi_single_device", "v_device", 1, 1)
@@ -237,7 +237,7 @@ _STAFF1 = level(len(STAFF), 1, 1)
            round(greatest(0.0, mi + (cells_f + cells_y - cells_fy - 1) / (2 * n * ln(2))), 6) + 0.0 AS mi FROM m""")
 def mi_miller_madow(spark, sf):
     packed, spec = prepared(spark, sf, "v_staff")
-    return _shown_mi(info.lattice_mi(packed, spec, _STAFF1, estimator="miller_madow"))
+    return _shown_mi(info.lattice_mi(packed, spec, _STAFF1, "blocks", estimator="miller_madow"))
 
 
 @query(f"WITH {duck_mi(duck_view('v_credit'), CREDIT, level(15, 1, 1))} SELECT sg, mask, level, n, round(mi * ln(2), 6) + 0.0 AS mi FROM m")
