@@ -67,7 +67,8 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
         )
     )
     first = F.min(F.struct(F.col("id").isNull().alias("no"), F.col("id").alias("id"), F.col("row").alias("row")))
-    groups = rows.filter("open").groupBy("size", "sha").agg(first.alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1")
+    # Written on its own, so that both sides of the join are plain exchanges and a hot group's rows are split.
+    groups = durable(rows.filter("open").groupBy("size", "sha").agg(first.alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1"))
     joined = rows.alias("r").join(groups.alias("g"), (F.col("r.sha") == F.col("g.sha")) & (F.col("r.size") == F.col("g.size")), "left")
     return joined.select(
         F.col("r.id").alias(id_col),
