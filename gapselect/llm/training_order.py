@@ -75,21 +75,21 @@ def _streams(batches, vocabulary: str, length: int, end_id: int):
 
     def cut(last: bool):
         nonlocal held, docs, total
-        tokens = np.concatenate(held) if held else np.zeros(0, np.uint32)
-        n = -(-len(tokens) // length) if last else len(tokens) // length
+        n = -(-total // length) if last else total // length
         if not n:
             return None
+        tokens = np.concatenate(held)
+        used = min(total, n * length)
         block = np.full(n * length, end_id, np.uint32)
-        used = min(len(tokens), n * length)
         block[:used] = tokens[:used]
         stops = np.cumsum([len(h) for h in held])
-        starts = stops - [len(h) for h in held]
-        of = [[] for _ in range(n)]
-        for d, a, b in zip(docs, starts.tolist(), stops.tolist()):
-            for k in range(a // length, min(n, (b - 1) // length + 1)):
-                of[k].append(d)
-        rest = tokens[used:]
-        held, docs, total = ([rest], [docs[-1]], len(rest)) if len(rest) else ([], [], 0)
+        edges = np.arange(n) * length
+        first, last_doc = np.searchsorted(stops, edges, "right"), np.searchsorted(stops, np.minimum(edges + length, used) - 1, "right")
+        sizes = last_doc - first + 1
+        ends = np.concatenate([[0], np.cumsum(sizes)])
+        at = np.arange(ends[-1]) - np.repeat(ends[:-1] - first, sizes)
+        of = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(docs, pa.int64()).take(pa.array(at)))
+        held, docs, total = ([tokens[used:]], [docs[-1]], total - used) if used < total else ([], [], 0)
         return block.reshape(n, length), of, used
 
     for b in slices(batches, 1):
@@ -120,7 +120,7 @@ def write_order(docs: DataFrame, vocabulary: str, folder: str | None = None, key
 
         ids_of, total = fast_ids(vocabulary), 0
         for b in slices(batches, 0):
-            total += sum(len(ids_of(t)) + 1 for t in b.column(0).to_pylist())
+            total += sum(ids_of.count(t) + 1 for t in b.column(0).to_pylist())
         yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int32()), pa.array([-(-total // length)], pa.int64())], names=["part", "n"])
 
     counted = {r["part"]: r["n"] for r in texts.select("text").mapInArrow(count, "part int, n long").collect()}  # a number per input split
@@ -138,11 +138,12 @@ def write_order(docs: DataFrame, vocabulary: str, folder: str | None = None, key
         for block, of, used in _streams(batches, vocabulary, length, end_id):
             slots = order.slot(np.arange(at, at + len(block)))
             at += len(block)
-            raw = block.astype(kind)
+            places = pa.array(np.arange(len(block) + 1) * stride, pa.int32())
+            raw = pa.Array.from_buffers(pa.binary(), len(block), [None, places.buffers()[1], pa.py_buffer(block.astype(kind).tobytes())])
             sizes = np.full(len(block), length, np.int32)
             sizes[-1] = used - (len(block) - 1) * length
             yield pa.RecordBatch.from_arrays(
-                [pa.array(slots), pa.array(slots // per_shard), pa.array(sizes), pa.array(of, pa.list_(pa.int64())), pa.array([r.tobytes() for r in raw], pa.binary())],
+                [pa.array(slots), pa.array(slots // per_shard), pa.array(sizes), of, raw],
                 names=["slot", "shard", "n_tokens", "doc_ids", "ids"],
             )
         if at - base.get(part, 0) != counted.get(part, 0):
