@@ -37,13 +37,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gapselect.llm.common import as_text, durable
+from gapselect.llm.common import as_text, durable, release
 from gapselect.llm.components import connected_components
 from gapselect.llm.shingles import mix, shingle_sets
 
 WIDTH, PERCENT = 4, 85
 #: Groups with more members than this get further turns of pivots before the last stage.
-LARGE = 64
+LARGE = 16
 _FILTER_BITS = 1 << 20
 _SALT = np.uint64(0xD1B54A32D192ED03)
 
@@ -296,14 +296,20 @@ def _open_pairs(group: DataFrame) -> tuple[int, int]:
     return tuple(sized.agg(F.coalesce(F.sum((F.col("all") - F.col("main")) * F.col("all")), F.lit(0)), F.coalesce(F.sum("all"), F.lit(0))).first())
 
 
-def _rest_pairs(group: DataFrame, percent: int) -> DataFrame:
+def _rest_pairs(group: DataFrame, ordered: DataFrame, percent: int) -> DataFrame:
     """All pairs of a group that are not connected: of members outside the group's largest
-    component with every other member."""
+    component with every other member. A pair is made once, where its paths first meet from
+    the rare end: the steps behind this one, which are few, must have nothing in common."""
     sized = group.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("m"))
     top = sized.groupBy("token").agg(F.max(F.struct("m", "comp")).alias("top"), F.count(F.lit(1)).alias("k")).filter("k > 1").select("token", F.col("top.comp").alias("main"))
-    out = group.join(top, "token").filter("comp <> main")
-    x, y = out.alias("x"), group.alias("y")
-    met = x.join(y, F.col("x.token") == F.col("y.token")).filter((F.col("x.comp") != F.col("y.comp")) & _fits("x.", "y.", percent))
+    low = F.ceil(percent * F.col("n") / 100).cast("int")
+    tails = ordered.select("node", F.slice("tokens", low, F.size("tokens")).alias("tail"))
+    placed = group.select("node", "n", "token", "left", "comp").join(tails, "node")
+    placed = placed.withColumn("behind", F.slice("tail", F.col("left") - low + 2, F.size("tail"))).drop("tail")
+    out = placed.join(top, "token").filter("comp <> main")
+    x, y = out.alias("x"), placed.alias("y")
+    new = (F.col("x.comp") != F.col("y.comp")) & _fits("x.", "y.", percent) & ~F.arrays_overlap("x.behind", "y.behind")
+    met = x.join(y, F.col("x.token") == F.col("y.token")).filter(new)
     return met.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
 
 
@@ -315,9 +321,12 @@ def link_components(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT,
     nodes = durable(rows.filter("key IS NOT NULL").groupBy("key").agg(F.min("doc_id").alias("node")))
     label = None
     passing = _filter_of(_sieve(texts, total, width, percent))
+    release(docs.sparkSession)
     if passing.any():
         found = _candidate_sets(texts, passing, width).groupBy("key").agg(F.first("n").alias("n"), F.first("tokens").alias("tokens"))
         sets = durable(found.join(nodes, "key").select("node", "n", "tokens"))
+        del found
+        release(docs.sparkSession)
         label = _components_of(sets, percent, pivots, turns)
     known = nodes.withColumn("component", F.col("node")) if label is None else nodes.join(label, "node", "left").withColumn("component", F.coalesce("component", "node"))
     out = rows.join(known.select("key", "component"), "key", "left")
@@ -331,6 +340,8 @@ def _components_of(sets: DataFrame, percent: int, pivots: int, turns: int, most_
     shared = every.join(common, "token").groupBy("node", "n").agg(F.sort_array(F.collect_list(F.struct("df", "token")), asc=False).alias("t"))
     # ceil(percent * n / 100) shared shingles at least; the others of the set are in no other set
     ordered = durable(shared.filter(100 * F.size("t") >= percent * F.col("n")).select("node", "n", F.col("t.token").alias("tokens")))
+    del every, common, shared
+    release(sets.sparkSession)
     # a step further than ceil(percent * n / 100) from the trunk is where a path may first meet another
     low = F.ceil(percent * F.col("n") / 100).cast("int")
     steps = ordered.select("node", "n", low.alias("low"), F.posexplode(F.slice("tokens", low, F.size("tokens"))).alias("k", "token"))
@@ -357,14 +368,14 @@ def _components_of(sets: DataFrame, percent: int, pivots: int, turns: int, most_
     large, before = group.filter(F.col("m") > LARGE), None
     for turn in range(turns, most_turns):
         now, rows = _open_pairs(large)
-        if now <= 2 * rows or before is not None and now > 0.9 * before:
+        if 2 * now <= rows or before is not None and now > 0.9 * before:
             break
         before = now
         compare(_pivot_pairs(large, turn, 2 * pivots, percent))
         large = _still_open(large, links)
     if before is not None:
         group = _still_open(group, links)
-    compare(_rest_pairs(group, percent))
+    compare(_rest_pairs(group, ordered, percent))
     return components_of_links(links)
 
 
