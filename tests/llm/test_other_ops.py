@@ -98,10 +98,6 @@ def test_attribution(spark, rule):
     df = spark.createDataFrame([(i, t, 1) for i, t in texts], "doc_id long, text string, section int")
     rows = attribute_tokens(df, path, rule=rule).collect()
     want = sorted((i, len((t or "").split("\n")), len(ref.encode(t or "").ids)) for i, t in texts)
-    by = {}
-    for r in rows:
-        key = (r.doc_id, r.end if False else None)
-        by.setdefault(key, []).append(r)
     assert sum(w[1] for w in want) == len(rows)
     assert sum(r.n_tokens for r in rows) == pytest.approx(sum(w[2] for w in want))
     if rule == "start":
