@@ -1,7 +1,6 @@
 """Worked examples, structural counts, invariants and brute-force checks of the engine."""
 
 from collections import Counter
-from itertools import combinations
 from math import log2
 
 import numpy as np
@@ -272,4 +271,3 @@ def test_singles_mislead(spark, sf):
 
 def test_clogc(spark):
     assert spark.range(1).select(clogc(F.lit(0)), clogc(F.lit(8)), clogc(F.lit(1))).first()[:] == (0.0, 24.0, 0.0)
-    assert len(list(combinations(range(4), 2))) == 6
