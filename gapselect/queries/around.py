@@ -156,7 +156,7 @@ def join_cross_masks(spark, sf):
 def join_theta_dist(spark, sf):
     """Pairs that differ in one of four features at most, across subgroups. Two pairs of
     features cannot both differ, so one of them is an equi-join key: no nested loop."""
-    v = view(spark, sf, "v_device").select("id", "sg", "type", "size_bin", "key_fifth", "brand_bin").filter("id <= 400")
+    v = view(spark, sf, "v_device").select("id", "sg", "type", "size_bin", "key_fifth", "brand_bin")
     return joins.near_pairs(v.filter("sg = 0"), v.filter("sg = 1"), [["type", "size_bin"], ["key_fifth", "brand_bin"]], "id", 1)
 
 
