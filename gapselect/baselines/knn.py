@@ -19,6 +19,8 @@ from gapselect.spec import PER_WORD, FeatureSpec, widen
 
 #: Donor cells that every task may hold; beyond it use ``method="bit_sampling"``.
 MOST_DONORS = 2_000_000
+#: Cells of one side of a bucket that meet in one group.
+BLOCK = 4096
 _LOW = np.int64(0x1111111111111111)
 
 
@@ -107,52 +109,76 @@ def knn_impute(packed: DataFrame, spec: FeatureSpec, k: int = 5, null_distance:
 
 
 def _sampled(cells: DataFrame, spec: FeatureSpec, k: int, how: str, bands: int, band_size: int, seed: int) -> DataFrame:
-    """Near-linear variant: cells that agree on a sampled set of features meet in a band;
-    of these the nearest are re-ranked exactly. Cells without a donor keep their nulls."""
+    """Near-linear variant: cells that agree on a sampled set of features meet in a band, and
+    every donor met there is ranked exactly. Cells without a donor keep their nulls."""
     rng = np.random.default_rng(seed)
     picks = [sum(1 << int(j) for j in rng.choice(spec.n, min(band_size, spec.n), replace=False)) for _ in range(bands)]
-    words = F.explode(F.arrays_zip(F.sequence(F.lit(0), F.lit(bands - 1)).alias("band"), F.lit([widen(p)[0] for p in picks]).alias("w0"), F.lit([widen(p)[1] for p in picks]).alias("w1")))
-    keyed = cells.withColumn("w", words).select("sg", "c0", "c1", "y", "n", F.col("w.band").alias("band"), F.col("c0").bitwiseAND(F.col("w.w0")).alias("k0"), F.col("c1").bitwiseAND(F.col("w.w1")).alias("k1"))
+    return _by_buckets(cells, spec, k, how, picks, {}, widen((1 << spec.n) - 1))
+
+
+def _by_buckets(cells: DataFrame, spec: FeatureSpec, k: int, how: str, picks: list[int], limits: dict[int, tuple[int, int]], default: tuple[int, int]) -> DataFrame:
+    """Each receiver against all donors that agree with it on the features of a pick; an empty
+    pick brings all cells together. Both sides of a bucket are cut into blocks of about
+    ``BLOCK`` cells, every pair of blocks is one group, and the best ``k`` of the groups merge."""
+    keys = ["band", "k0", "k1"]
+    words = F.explode(F.arrays_zip(F.sequence(F.lit(0), F.lit(len(picks) - 1)).alias("band"), F.lit([widen(p)[0] for p in picks]).alias("w0"), F.lit([widen(p)[1] for p in picks]).alias("w1")))
+
+    def keyed(df: DataFrame) -> DataFrame:
+        return df.withColumn("w", words).select(*df.columns, F.col("w.band").alias("band"), F.col("c0").bitwiseAND(F.col("w.w0")).alias("k0"), F.col("c1").bitwiseAND(F.col("w.w1")).alias("k1"))
+
     fields = []
     for j in range(spec.n):
         col, shift = f"c{j // PER_WORD}", 4 * (j % PER_WORD)
         fields.append(F.shiftright(F.col(col), shift).bitwiseAND(F.lit(0xF)))
     any_null = sum([F.when(f == 0, 1).otherwise(0) for f in fields[1:]], F.when(fields[0] == 0, 1).otherwise(0)) > 0
-    need = keyed.filter(any_null).toDF(*keyed.columns)
+    need = keyed(cells.filter(any_null).select("sg", "c0", "c1").distinct())
+    donors = keyed(cells.groupBy("c0", "c1").agg(F.sum("n").alias("n"))).withColumnsRenamed({"c0": "d0", "c1": "d1"})
+    blocks = F.ceil(F.count(F.lit(1)) / BLOCK)
+    grid = need.groupBy(*keys).agg(blocks.alias("rs")).join(donors.groupBy(*keys).agg(blocks.alias("ds")), keys)
+    wants = need.join(grid, keys).withColumn("r", F.pmod(F.hash("sg", "c0", "c1"), "rs")).withColumn("d", F.explode(F.sequence(F.lit(0), F.col("ds") - 1)))
+    haves = donors.join(grid, keys).withColumn("d", F.pmod(F.hash("d0", "d1"), "ds")).withColumn("r", F.explode(F.sequence(F.lit(0), F.col("rs") - 1)))
+    haves = haves.toDF(*haves.columns)
+    names = ["sg", "c0", "c1", "j", "d", "d0", "d1", "code", "w"]
 
     def meet(key, want: pd.DataFrame, have: pd.DataFrame) -> pd.DataFrame:
-        """Best ``k`` donors per feature among at most 512 cells of the bucket, spread evenly."""
+        """Best ``k`` donors per feature of two blocks."""
         out = []
-        have = have.groupby(["c0", "c1"], as_index=False)["n"].sum().sort_values(["c0", "c1"])
-        have = have.iloc[np.unique(np.linspace(0, len(have) - 1, min(len(have), 512)).astype(int))] if len(have) else have
-        d0, d1, dn = (have[c].to_numpy() for c in ("c0", "c1", "n"))
-        if not len(have):
-            return pd.DataFrame(out, columns=["sg", "c0", "c1", "y", "j", "d", "d0", "d1", "code", "w"])
-        dist = distances(want["c0"].to_numpy(), want["c1"].to_numpy(), d0, d1, how, widen((1 << spec.n) - 1))
-        for r, row in enumerate(want.itertuples()):
-            for j in range(spec.n):
-                shift = 4 * (j % PER_WORD)
-                if (row.c0 if j < PER_WORD else row.c1) >> shift & 0xF:
-                    continue
-                codes = (d0 if j < PER_WORD else d1) >> shift & 0xF
-                donor = np.flatnonzero(codes)
-                for x in donor[np.argsort(dist[r, donor], kind="stable")][:k]:
-                    out.append((row.sg, row.c0, row.c1, row.y, j, int(dist[r, x]), int(d0[x]), int(d1[x]), int(codes[x]), int(dn[x])))
-        return pd.DataFrame(out, columns=["sg", "c0", "c1", "y", "j", "d", "d0", "d1", "code", "w"])
-
-    keys = ["band", "k0", "k1"]
-    schema = "sg int, c0 long, c1 long, y byte, j int, d int, d0 long, d1 long, code int, w long"
-    met = need.groupBy(*keys).cogroup(keyed.groupBy(*keys)).applyInPandas(meet, schema).distinct()
-    votes = met.groupBy("sg", "c0", "c1", "y", "j").agg(F.sort_array(F.collect_list(F.struct("d", "d0", "d1", "code", "w"))).alias("v"))  # bands * k donors at most
+        d0, d1, dn = (have.sort_values(["d0", "d1"])[c].to_numpy() for c in ("d0", "d1", "n"))
+        for i in range(0, len(want) if len(have) else 0, 256):
+            part = want.iloc[i : i + 256]
+            c0, c1, sg = (part[c].to_numpy() for c in ("c0", "c1", "sg"))
+            for g in np.unique(sg):
+                rows = np.flatnonzero(sg == g)
+                dist = distances(c0[rows], c1[rows], d0, d1, how, limits.get(int(g), default))
+                for j in range(spec.n):
+                    shift = 4 * (j % PER_WORD)
+                    own, there = (c0, d0) if j < PER_WORD else (c1, d1)
+                    lacking = np.flatnonzero((own[rows] >> shift & 0xF) == 0)
+                    donor = np.flatnonzero(there >> shift & 0xF) if len(lacking) else lacking
+                    if not len(donor):
+                        continue
+                    most = min(len(donor), k)
+                    for r in lacking:
+                        d = dist[r, donor]
+                        near = np.flatnonzero(d <= np.partition(d, most - 1)[most - 1])
+                        near = near[np.argsort(d[near], kind="stable")][:most]
+                        x = donor[near]
+                        one = np.ones(most, np.int64)
+                        out.append(np.stack([g * one, c0[rows[r]] * one, c1[rows[r]] * one, j * one, d[near], d0[x], d1[x], there[x] >> shift & 0xF, dn[x]]))
+        return pd.DataFrame(np.concatenate(out, axis=1).T if out else np.empty((0, len(names)), np.int64), columns=names)
+
+    group = [*keys, "r", "d"]
+    met = wants.groupBy(*group).cogroup(haves.groupBy(*group)).applyInPandas(meet, "sg int, c0 long, c1 long, j int, d int, d0 long, d1 long, code int, w long")
+    votes = met.groupBy("sg", "c0", "c1", "j").agg(F.slice(F.sort_array(F.collect_set(F.struct("d", "d0", "d1", "code", "w"))), 1, k).alias("v"))
 
     def pick(v: pd.Series) -> pd.Series:
         return v.map(lambda x: _mode(np.array([e["code"] for e in x]), np.array([e["w"] for e in x]), k))
 
     choose = F.pandas_udf(pick, "int")
-    chosen = votes.select("sg", "c0", "c1", "y", "j", choose("v").alias("code"))
+    chosen = votes.select("sg", "c0", "c1", "j", choose("v").alias("code"))
     add = [F.coalesce(F.bit_or(F.when(F.floor(F.col("j") / PER_WORD) == w, F.call_function("shiftleft", F.col("code").cast("long"), 4 * (F.col("j") % PER_WORD)))), F.lit(0)).alias(f"a{w}") for w in (0, 1)]
-    patch = chosen.groupBy("sg", "c0", "c1", "y").agg(*add)
-    out = cells.join(patch, ["sg", "c0", "c1", "y"], "left")
+    patch = chosen.groupBy("sg", "c0", "c1").agg(*add)
+    out = cells.join(patch, ["sg", "c0", "c1"], "left")
     return out.select("sg", *[F.col(f"c{w}").bitwiseOR(F.coalesce(f"a{w}", F.lit(0))).alias(f"c{w}") for w in (0, 1)], "y", "n")
 
 

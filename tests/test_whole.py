@@ -1,6 +1,13 @@
 """Queries and operators do the whole job: no row, donor, member or set is left out."""
 
+import numpy as np
+import pytest
+
+from gapselect.baselines import knn
+from gapselect.operators import prep
+from gapselect.plans.durable import durable
 from gapselect.queries import QUERIES
+from gapselect.spec import FeatureSpec
 
 
 def test_theta_join_takes_every_part(spark, sf, tmp_path):
@@ -15,3 +22,27 @@ def test_theta_join_takes_every_part(spark, sf, tmp_path):
     ]
     want = sorted((i, j) for i, g, x in rows if g == 0 for j, h, y in rows if h == 1 and sum(a != b for a, b in zip(x, y)) <= 1)
     assert max(i for i, _, _ in rows) > 400 and got == want
+
+
+@pytest.fixture(scope="module")
+def wide(spark):
+    """1,300 donors in one bucket of the constant feature ``d``; 60 receivers lack ``e``."""
+    spec = FeatureSpec(("a", "b", "c", "d", "e"))
+    rng = np.random.default_rng(5)
+    rows = [(0, a, b, c, 1, int(rng.integers(1, 8)), 0) for a in range(9) for b in range(9) for c in range(9) for _ in range(2)]
+    rows += [(1, *(int(x) for x in rng.integers(0, 9, 3)), 1, None, 0) for _ in range(60)]
+    df = spark.createDataFrame(rows, "sg int, a int, b int, c int, d int, e int, y int")
+    return durable(prep.pack(prep.encode(df, spec), spec)), spec
+
+
+def filled(df):
+    return sorted(tuple(r) for r in df.select("sg", "c0", "c1", "y", "n").collect())
+
+
+@pytest.mark.parametrize("block", [4096, 200])
+def test_hashed_neighbours_see_the_whole_bucket(wide, monkeypatch, block):
+    packed, spec = wide
+    seed = next(s for s in range(99) if np.random.default_rng(s).choice(5, 1, replace=False)[0] == 3)
+    monkeypatch.setattr(knn, "BLOCK", block, raising=False)
+    got = filled(knn.knn_impute(packed, spec, 5, method="bit_sampling", bands=1, band_size=1, seed=seed))
+    assert got == filled(knn.knn_impute(packed, spec, 5)) and all(c0 >> 16 & 0xF for _, c0, *_ in got)
