@@ -3,7 +3,7 @@
 import numpy as np
 import pytest
 
-from gapselect.baselines import knn
+from gapselect.baselines import knn, markov
 from gapselect.operators import prep
 from gapselect.plans.durable import durable
 from gapselect.queries import QUERIES
@@ -46,3 +46,19 @@ def test_hashed_neighbours_see_the_whole_bucket(wide, monkeypatch, block):
     monkeypatch.setattr(knn, "BLOCK", block, raising=False)
     got = filled(knn.knn_impute(packed, spec, 5, method="bit_sampling", bands=1, band_size=1, seed=seed))
     assert got == filled(knn.knn_impute(packed, spec, 5)) and all(c0 >> 16 & 0xF for _, c0, *_ in got)
+
+
+def test_blankets_grow_past_six_members(spark):
+    rng = np.random.default_rng(6)
+    spec = FeatureSpec(tuple("abcdefgh"))
+    rows = [(0, *map(int, x), int(x.sum())) for x in rng.integers(0, 2, (4000, 8))]
+    packed = prep.pack(prep.encode(spark.createDataFrame(rows, f"sg int, {', '.join(f'{f} int' for f in spec.features)}, y int"), spec), spec)
+    assert markov.grow_shrink(packed, spec, dict.fromkeys(spec.features, 2), {0: 4000}, 9) == {0: 255}
+
+
+def test_blankets_lose_every_needless_member(monkeypatch):
+    """Two noisy copies of the target join first; the two features that make it replace both."""
+    spec = FeatureSpec(tuple("abxz"))
+    bits = [0.0, 0.6, 0.5, 0.8, 0.4, 0.7, 0.7, 0.9, 0.4, 0.7, 0.7, 0.85, 1.0, 1.0, 1.0, 1.0]
+    monkeypatch.setattr(markov, "_mi", lambda cells, spec, masks: {(0, m): bits[m] for m in masks if m})
+    assert markov.grow_shrink(None, spec, dict.fromkeys("abxz", 2), {0: 1000}, 2) == {0: 0b1100}
