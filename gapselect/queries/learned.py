@@ -248,7 +248,7 @@ def exp_effectiveness(spark, sf):
 
 @query()
 def exp_robustness(spark, sf):
-    return ex.robustness(spark, sf, ("v_device",), (0.2, 0.5), ("ridge", "knn"), n=8)
+    return ex.robustness(spark, sf, ("v_staff", "v_device", "v_credit"), cfg=QUICK)
 
 
 @query()

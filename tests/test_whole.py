@@ -6,7 +6,7 @@ import pytest
 from gapselect.baselines import knn, markov
 from gapselect.operators import prep
 from gapselect.plans.durable import durable
-from gapselect.queries import QUERIES
+from gapselect.queries import QUERIES, learned
 from gapselect.spec import FeatureSpec
 
 
@@ -62,3 +62,10 @@ def test_blankets_lose_every_needless_member(monkeypatch):
     bits = [0.0, 0.6, 0.5, 0.8, 0.4, 0.7, 0.7, 0.9, 0.4, 0.7, 0.7, 0.85, 1.0, 1.0, 1.0, 1.0]
     monkeypatch.setattr(markov, "_mi", lambda cells, spec, masks: {(0, m): bits[m] for m in masks if m})
     assert markov.grow_shrink(None, spec, dict.fromkeys("abxz", 2), {0: 1000}, 2) == {0: 0b1100}
+
+
+def test_robustness_is_of_the_model(monkeypatch):
+    seen = {}
+    monkeypatch.setattr(learned.ex, "robustness", lambda spark, sf, views, *a, **b: seen.update(views=views, a=a, b=b))
+    QUERIES["exp_robustness"](None, "")
+    assert seen["views"] == ("v_staff", "v_device", "v_credit") and not seen["a"] and set(seen["b"]) == {"cfg"}
