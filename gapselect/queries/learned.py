@@ -1,4 +1,4 @@
-"""Baselines, the model, and the experiments, at sizes that a test run allows."""
+"""Baselines, the model, and the experiments, at widths and epochs that a test run allows."""
 
 from __future__ import annotations
 
@@ -19,7 +19,7 @@ from gapselect.operators import prep, topk
 from gapselect.plans.durable import durable
 from gapselect.queries.base import duck_hidden, duck_mi, duck_topk, level, masked, prepared, query, r6, shown_topk
 from gapselect.queries.methods import PLANTED
-from gapselect.views import DEVICE, GROUPS, duck_view
+from gapselect.views import DEVICE, GROUPS, SPECS, duck_view
 
 QUICK = GnnConfig(hidden=16, epochs=60, rate=1e-2, level_max=3)
 _K = 5
@@ -243,7 +243,7 @@ def gnn_forward_fixed(spark, sf):
 
 @query()
 def exp_effectiveness(spark, sf):
-    return ex.effectiveness(spark, sf, ("v_device",), ("model", "knn", "mlp", "ridge"), cfg=QUICK)
+    return ex.effectiveness(spark, sf, tuple(n for n in SPECS if n != "v_scale"), seeds=(0, 1, 2), cfg=QUICK)
 
 
 @query()
@@ -253,34 +253,34 @@ def exp_robustness(spark, sf):
 
 @query()
 def exp_sampling(spark, sf):
-    return ex.sampling_distance(spark, sf, ("v_device",), (0.25, 0.75), (0,), n=8)
+    return ex.sampling_distance(spark, sf, ("v_staff", "v_device", "v_credit"))
 
 
 @query()
 def exp_closure(spark, sf):
-    return ex.closure(spark, sf, ("v_device",), n=8, cfg=QUICK)
+    return ex.closure(spark, sf, ("v_staff", "v_device", "v_credit"), cfg=QUICK)
 
 
 @query()
 def exp_time_features(spark, sf):
-    return ex.times(spark, sf, "n", (6, 8), cfg=QUICK, algorithms=("model",))
+    return ex.times(spark, sf, "n", (6, 8, 10), cfg=QUICK)
 
 
 @query()
 def exp_time_groups(spark, sf):
-    return ex.times(spark, sf, "groups", (2, 4), n=6, cfg=QUICK)
+    return ex.times(spark, sf, "groups", (2, 4, 8), cfg=QUICK)
 
 
 @query()
 def exp_time_missing(spark, sf):
-    return ex.times(spark, sf, "p", (0.2, 0.5), n=6, cfg=QUICK)
+    return ex.times(spark, sf, "p", (0.2, 0.3, 0.4, 0.5), cfg=QUICK)
 
 
 @query()
 def exp_time_budget(spark, sf):
-    return ex.times(spark, sf, "budget", (0.2, 1.0), n=8, cfg=QUICK, algorithms=("model",))
+    return ex.times(spark, sf, "budget", (0.2, 0.4, 0.6, 0.8, 1.0), cfg=QUICK)
 
 
 @query()
 def exp_sharing(spark, sf):
-    return ex.sharing_times(spark, sf, (6,), ways=("none", "cuboid", "blocks"))
+    return ex.sharing_times(spark, sf, (6, 8, 10), (2, 4))

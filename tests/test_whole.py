@@ -69,3 +69,26 @@ def test_robustness_is_of_the_model(monkeypatch):
     monkeypatch.setattr(learned.ex, "robustness", lambda spark, sf, views, *a, **b: seen.update(views=views, a=a, b=b))
     QUERIES["exp_robustness"](None, "")
     assert seen["views"] == ("v_staff", "v_device", "v_credit") and not seen["a"] and set(seen["b"]) == {"cfg"}
+
+
+@pytest.mark.parametrize("name, call, views", [("exp_effectiveness", "effectiveness", 5), ("exp_sampling", "sampling_distance", 3), ("exp_closure", "closure", 3)])
+def test_experiments_take_whole_views(monkeypatch, name, call, views):
+    seen = {}
+    monkeypatch.setattr(learned.ex, call, lambda spark, sf, views, *a, **b: seen.update(views=views, a=a, b=b))
+    QUERIES[name](None, "")
+    assert len(seen["views"]) == views and not seen["a"] and set(seen["b"]) <= {"cfg", "seeds"} and len(seen["b"].get("seeds", "all")) == 3
+
+
+@pytest.mark.parametrize("axis, values", [("features", 3), ("groups", 3), ("missing", 4), ("budget", 5)])
+def test_times_take_the_whole_axis(monkeypatch, axis, values):
+    seen = {}
+    monkeypatch.setattr(learned.ex, "times", lambda spark, sf, vary, values, **b: seen.update(values=values, b=b))
+    QUERIES[f"exp_time_{axis}"](None, "")
+    assert len(seen["values"]) == values and set(seen["b"]) == {"cfg"}
+
+
+def test_sharing_takes_every_way(monkeypatch):
+    seen = {}
+    monkeypatch.setattr(learned.ex, "sharing_times", lambda spark, sf, sizes, groups, **b: seen.update(sizes=sizes, groups=groups, b=b))
+    QUERIES["exp_sharing"](None, "")
+    assert max(seen["sizes"]) == 10 and len(seen["groups"]) == 2 and not seen["b"]
