@@ -103,10 +103,10 @@ def mode_impute_device(spark, sf):
 
 @query()
 def mb_blanket_logic15(spark, sf):
-    pb = ex.problem(spark, sf, "v_logic15", n=6, truth=False)
+    pb = ex.problem(spark, sf, "v_logic15", truth=False)
     spec = pb.spec
-    blanket, _, said = markov_blanket(pb.masked, spec, max_iter=2)
-    return spark.createDataFrame([(g, b, spec.names_of(b), said["rounds"]) for g, b in sorted(blanket.items())], "sg int, mask long, features array<string>, rounds int")
+    blanket, _, said = markov_blanket(pb.masked, spec)
+    return spark.createDataFrame([(g, b, spec.names_of(b), said["rounds"], said["settled"]) for g, b in sorted(blanket.items())], "sg int, mask long, features array<string>, rounds int, settled boolean")
 
 
 @query()
@@ -121,7 +121,7 @@ def mb_grow_device(spark, sf):
 
 @query()
 def mb_topk_logic15(spark, sf):
-    pb = ex.problem(spark, sf, "v_logic15", n=6, truth=False)
+    pb = ex.problem(spark, sf, "v_logic15", truth=False)
     return shown_topk(markov_topk(pb.masked, pb.spec, 3, 10))
 
 
@@ -198,13 +198,13 @@ def _gnn_topk(name: str, n: int | None, cfg: GnnConfig):
 
 query(None, "gnn_topk_device")(_gnn_topk("v_device", None, QUICK))
 query(None, "gnn_topk_logic15")(_gnn_topk("v_logic15", None, replace(QUICK, epochs=40)))
-query(None, "gnn_joint")(_gnn_topk("v_device", 8, replace(QUICK, label_channel="joint")))
-query(None, "gnn_observed")(_gnn_topk("v_device", 8, replace(QUICK, label_channel="observed")))
+query(None, "gnn_joint")(_gnn_topk("v_device", None, replace(QUICK, label_channel="joint")))
+query(None, "gnn_observed")(_gnn_topk("v_device", None, replace(QUICK, label_channel="observed")))
 
 
 @query()
 def gnn_ablation_edges(spark, sf):
-    return ex.ablations(spark, sf, "v_logic15", 8, QUICK)
+    return ex.ablations(spark, sf, "v_logic15", None, QUICK)
 
 
 @query()
@@ -212,8 +212,8 @@ def gnn_distributed(spark, sf):
     """Training with nodes spread over tasks: predictions for the device view."""
     from gapselect.model.distributed import fit_distributed
 
-    pb = ex.problem(spark, sf, "v_device", n=8, truth=False)
-    pred, losses = fit_distributed(ex.labels(pb), 8, 1, 3, hidden=8, epochs=8)
+    pb = ex.problem(spark, sf, "v_device", truth=False)
+    pred, losses = fit_distributed(ex.labels(pb), pb.spec.n, 1, 3, hidden=8, epochs=8)
     if not losses[-1] < losses[0]:
         raise RuntimeError("the loss did not fall")
     return shown_topk(topk.topk(pred, 3, 10))

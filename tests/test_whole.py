@@ -92,3 +92,25 @@ def test_sharing_takes_every_way(monkeypatch):
     monkeypatch.setattr(learned.ex, "sharing_times", lambda spark, sf, sizes, groups, **b: seen.update(sizes=sizes, groups=groups, b=b))
     QUERIES["exp_sharing"](None, "")
     assert max(seen["sizes"]) == 10 and len(seen["groups"]) == 2 and not seen["b"]
+
+
+@pytest.mark.parametrize("name", ["mb_blanket_logic15", "mb_topk_logic15", "gnn_joint", "gnn_observed", "gnn_ablation_edges", "gnn_distributed"])
+def test_methods_take_every_feature(monkeypatch, name):
+    class Seen(Exception):
+        pass
+
+    def problem(spark, sf, view, p=0.2, seed=0, m=3, n=None, **rest):
+        raise Seen(n)
+
+    monkeypatch.setattr(learned.ex, "problem", problem)
+    with pytest.raises(Seen) as said:
+        QUERIES[name](None, "")
+    assert said.value.args == (None,)
+
+
+def test_unsettled_blankets_are_flagged(wide, monkeypatch):
+    packed, spec = wide
+    found = iter([{0: 1, 1: 1}, {0: 3, 1: 1}, {0: 3, 1: 1}])
+    monkeypatch.setattr(markov, "grow_shrink", lambda *a: next(found))
+    assert not markov.markov_blanket(packed, spec, max_iter=1)[2]["settled"]
+    assert markov.markov_blanket(packed, spec, max_iter=2)[2]["settled"]
