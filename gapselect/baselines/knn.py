@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from gapselect.spec import PER_WORD, FeatureSpec, widen
 
-#: Donor cells that every task may hold; beyond it use ``method="bit_sampling"``.
+#: Donor cells that every task may hold; beyond it they meet the receivers in blocks.
 MOST_DONORS = 2_000_000
 #: Cells of one side of a bucket that meet in one group.
 BLOCK = 4096
@@ -73,7 +73,7 @@ def knn_impute(packed: DataFrame, spec: FeatureSpec, k: int = 5, null_distance:
         return _sampled(cells, spec, k, null_distance, bands, band_size, seed)
     donors = cells.groupBy("c0", "c1").agg(F.sum("n").alias("n")).orderBy("c0", "c1").limit(MOST_DONORS + 1).collect()
     if len(donors) > MOST_DONORS:
-        raise ValueError("too many donor cells for one task: use method='bit_sampling'")
+        return _by_buckets(cells, spec, k, null_distance, [0], limits, default)
     pool = packed.sparkSession.sparkContext.broadcast(np.array([tuple(r) for r in donors], np.int64).reshape(-1, 3))
 
     def run(frames):

@@ -114,3 +114,12 @@ def test_unsettled_blankets_are_flagged(wide, monkeypatch):
     monkeypatch.setattr(markov, "grow_shrink", lambda *a: next(found))
     assert not markov.markov_blanket(packed, spec, max_iter=1)[2]["settled"]
     assert markov.markov_blanket(packed, spec, max_iter=2)[2]["settled"]
+
+
+@pytest.mark.parametrize("columns", [None, {0: 31, 1: 0b00111}])
+def test_neighbours_beyond_the_shipped_size(wide, monkeypatch, columns):
+    packed, spec = wide
+    want = filled(knn.knn_impute(packed, spec, 5, columns=columns))
+    monkeypatch.setattr(knn, "MOST_DONORS", 10)
+    monkeypatch.setattr(knn, "BLOCK", 400)
+    assert filled(knn.knn_impute(packed, spec, 5, columns=columns)) == want
