@@ -68,7 +68,8 @@ def walk(available: int, budget: int, seed: int, sg: int, low: int, high: int, l
 
 def walk_sample(spark: SparkSession, available: dict[int, int], budget: float | int, seed: int = 0, low: int = 1, high: int = 3, lazy: float = 0.5, burn_in: int = 0, walkers: int = 1) -> DataFrame:
     """(sg, mask, step) per subgroup. Near the whole universe a chain would be a coupon
-    collector; from 95 % on the universe is listed and a coin leaves sets out."""
+    collector; from 95 % on the universe is listed and a coin leaves sets out. Several
+    walkers go in step until their union holds the budget, so each may walk that far."""
     rows = [(sg, w, a) for sg, a in available.items() for w in range(walkers)]
 
     def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
@@ -79,12 +80,18 @@ def walk_sample(spark: SparkSession, available: dict[int, int], budget: float |
             every = sorted(band(60, low, high, a), key=lambda m: (_coin(seed, sg, "u", m), m))[:b]
             out = [(m, k) for k, m in enumerate(every)]
         else:
-            out = walk(a, -(-b // walkers), seed, sg, low, high, lazy, burn_in, walker=w)
+            out = walk(a, b, seed, sg, low, high, lazy, burn_in, walker=w)
         return pd.DataFrame([(sg, m, s) for m, s in out], columns=["sg", "mask", "step"])
 
     frame = spark.createDataFrame(rows, "sg int, walker int, available long")
     made = frame.groupBy("sg", "walker").applyInPandas(run, "sg int, mask long, step long")
-    return made.groupBy("sg", "mask").agg(F.min("step").alias("step")) if walkers > 1 else made
+    if walkers == 1:
+        return made
+    wanted = {sg: budget_of(budget, universe_size(a, low, high)) for sg, a in available.items()}
+    most = F.create_map(*[F.lit(x) for pair in wanted.items() for x in pair])[F.col("sg")]
+    union = made.groupBy("sg", "mask").agg(F.min("step").alias("step"))
+    rank = F.row_number().over(Window.partitionBy("sg").orderBy("step", "mask"))
+    return union.withColumn("r", rank).filter(F.col("r") <= most).drop("r")
 
 
 def arbitrary_sample(universe: DataFrame, budget: float | int, seed: int = 0) -> DataFrame:

@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 
 from gapselect.baselines import knn, markov
-from gapselect.operators import prep
+from gapselect.operators import prep, sampling
 from gapselect.plans.durable import durable
 from gapselect.queries import QUERIES, learned
 from gapselect.spec import FeatureSpec
@@ -123,3 +123,11 @@ def test_neighbours_beyond_the_shipped_size(wide, monkeypatch, columns):
     monkeypatch.setattr(knn, "MOST_DONORS", 10)
     monkeypatch.setattr(knn, "BLOCK", 400)
     assert filled(knn.knn_impute(packed, spec, 5, columns=columns)) == want
+
+
+def test_walkers_fill_the_budget(spark):
+    available = {0: 0x7FFF, 1: 0x0FFF}
+    got = sampling.walk_sample(spark, available, 0.25, 0, 1, 3, walkers=4, burn_in=50).collect()
+    for sg, a in available.items():
+        mine = [r["mask"] for r in got if r["sg"] == sg]
+        assert len(mine) == len(set(mine)) == sampling.budget_of(0.25, sampling.universe_size(a, 1, 3))
