@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import gc
 import tempfile
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -19,12 +20,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir`` of the
-    session. Only where that is unset (tests on one machine) a temporary one is made."""
+    session. Where that is unset a temporary one is made if the session is ``local``
+    (tests on one machine); a cluster has to name one."""
     sc = spark.sparkContext
     found = sc.getCheckpointDir()
     if found is None:
-        found = sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="shared-")
-        sc.setCheckpointDir(found)
+        found = sc.getConf().get("spark.checkpoint.dir")
+        if not found and not sc.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir is not set: name a folder that driver and executors share")
+        sc.setCheckpointDir(found or tempfile.mkdtemp(prefix="shared-"))
         found = sc.getCheckpointDir()
     return found
 
@@ -36,6 +40,32 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def written(df: DataFrame) -> DataFrame:
+    """``df`` as a table in the shared folder, removed when the session's JVM ends. Other
+    than :func:`durable` it forgets how rows were dealt out, so that a later join by a hot
+    key exchanges them anew and adaptive execution can split them."""
+    spark = df.sparkSession
+    path = f"{shared_dir(spark).rstrip('/')}/table-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(where)
+    return spark.read.schema(df.schema).parquet(path)
+
+
+def distinct_ids(docs: DataFrame, id_col: str) -> bool:
+    """Whether no id, null included, is in two rows; reads the ids alone."""
+    return docs.groupBy(id_col).agg(F.count(F.lit(1)).alias("n")).filter("n > 1").isEmpty()
+
+
+def numbered(docs: DataFrame) -> tuple[DataFrame, str]:
+    """``docs`` written once with a number for every row, so that rows that repeat an id
+    can be told apart, and the name of that column, which no other one has."""
+    name = "__row"
+    while name in docs.columns:
+        name += "_"
+    return written(docs.withColumn(name, F.monotonically_increasing_id())), name
+
+
 def release(spark: SparkSession) -> None:
     """Lets Spark delete shuffle files of steps whose frames are gone: its cleaner acts
     when the driver's JVM collects garbage, which may be long after."""

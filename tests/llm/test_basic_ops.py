@@ -50,6 +50,15 @@ def test_exact_dedup(spark):
     assert exact_groups(frame(spark, [])).count() == 0
 
 
+def test_drop_copies_decides_by_row(spark):
+    from gapselect.llm.exact_dedup import drop_copies
+
+    rows = [(1, "t"), (1, "t"), (2, "u"), (3, "t"), (2, "w"), (None, "u"), (None, None), (None, "")]
+    out = drop_copies(frame(spark, rows).repartition(3))
+    assert sorted((r.doc_id, r.text) for r in out.filter("doc_id IS NOT NULL").collect()) == [(1, "t"), (2, "u"), (2, "w")]
+    assert out.filter("doc_id IS NULL").count() == 1 and out.columns == frame(spark).columns
+
+
 def test_quality(spark):
     from gapselect.llm.quality import filter_quality, quality_rules
 
