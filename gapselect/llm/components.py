@@ -4,7 +4,8 @@ Each round turns neighbourhoods into stars around their smallest member; the wor
 round is two grouped minima and two joins, all on edges, so nothing of a component's size
 is ever in one task. Rounds end when the edges repeat themselves; there are about
 ``log(n)`` of them. Every round is written to the shared folder, so lost executors cost
-one round at most.
+one round at most. Minima are written on their own, so that the rows that join them are
+exchanged anew and those of a hot node are split.
 """
 
 from __future__ import annotations
@@ -12,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gapselect.llm.common import durable
+from gapselect.llm.common import durable, written
 
 
 def _seal(edges: DataFrame) -> tuple[DataFrame, tuple]:
@@ -29,9 +30,9 @@ def connected_components(edges: DataFrame, most_rounds: int = 100) -> DataFrame:
         if not mark[0]:
             break
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("u", "m"))
-        large = both.join(least, "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        low = large.groupBy("u").agg(F.min("v").alias("m"))
+        least = written(both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("u", "m")))
+        large = written(both.join(least, "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct())
+        low = written(large.groupBy("u").agg(F.min("v").alias("m")))
         small = large.join(low, "u")
         small = small.filter("v != m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v")))
         now, seen = _seal(small.filter("u > v").distinct())

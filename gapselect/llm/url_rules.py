@@ -20,7 +20,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from gapselect.llm.common import durable
+from gapselect.llm.common import written
 from gapselect.llm.components import connected_components
 
 #: scheme://host path ?query, taken apart at the first "://".
@@ -111,17 +111,16 @@ def judge_urls(pages: DataFrame, rules: tuple[UrlRule, ...] = RULES, default: st
     url = F.col(url_col)
     parts = pages.select(F.col(id_col).alias("id"), url.alias("url"), host_of(url).alias("host"), path_of(url).alias("path"))
     own = parts.withColumn("m", matched_rule(F.col("host"), F.col("path"), rules))
-    edges = durable(alias_edges(pages, url_col, html_col))
-    if edges.isEmpty():
-        judged = own.withColumn("said", F.lit(None).cast("string"))
-    else:
-        label = connected_components(edges.select("u", "v"))
-        ends = own.select(url_key(F.col("url")).alias("node"), F.col("m.verdict").alias("v")).unionByName(
-            edges.select(F.col("v").alias("node"), matched_rule(host_of(F.col("to")), path_of(F.col("to")), rules)["verdict"].alias("v"))
-        )
-        seen = ends.filter("v IS NOT NULL").join(label, "node").groupBy("component").agg(F.min("v").alias("said"))  # 'allow' comes before 'block'
-        classes = label.join(seen, "component").select("node", "said")
-        judged = own.withColumn("node", url_key(F.col("url"))).join(classes, "node", "left")
+    edges = written(alias_edges(pages, url_col, html_col))
+    label = written(connected_components(edges.select("u", "v")))
+    ends = own.select(url_key(F.col("url")).alias("node"), F.col("m.verdict").alias("v")).unionByName(
+        edges.select(F.col("v").alias("node"), matched_rule(host_of(F.col("to")), path_of(F.col("to")), rules)["verdict"].alias("v"))
+    )
+    # Of a node's verdicts one is enough; 'allow' comes before 'block'.
+    told = ends.filter("v IS NOT NULL").groupBy("node").agg(F.min("v").alias("v"))
+    seen = written(told.join(label, "node").groupBy("component").agg(F.min("v").alias("said")))
+    classes = written(label.join(seen, "component").select("node", "said"))
+    judged = own.withColumn("node", url_key(F.col("url"))).join(classes, "node", "left")
     return judged.select(
         F.col("id").alias(id_col), "host", "path", F.col("m.text").alias("rule"),
         F.coalesce("m.verdict", "said", F.lit(default)).alias("verdict"),
