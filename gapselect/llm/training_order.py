@@ -9,9 +9,13 @@ gives every sequence its slot. No two sequences share a slot and none stays free
 ``s`` lies at byte ``(s % per_shard) * stride`` of its shard: reading on from any step
 needs no index. The inverse permutation tells where a slot came from.
 
-Shards are written by the task that holds their slot range, under a name of the attempt,
-and then moved to their final name, so a lost executor or a repeated task leaves whole
-shards only. Memory is bounded by one Arrow batch.
+Sequences are dealt out by ranges of slots, one shard a task however large the input, and
+sorted there. The task writes its shard under a name of the attempt and then moves it to
+its final name, so a lost executor or a repeated task leaves whole shards only. Memory is
+bounded by one Arrow batch.
+
+Texts are encoded twice, once to count. Keeping the ids of the first pass would write them
+a third time beside the exchange and the shards.
 
 Defined results: null and empty texts add the end token alone; repeated rows are written
 each; an empty table writes no shard and gives no rows; extra columns are not read. The
@@ -154,33 +158,26 @@ def write_order(docs: DataFrame, vocabulary: str, folder: str | None = None, key
 
         store, root = fs.FileSystem.from_uri(folder) if "://" in folder or folder.startswith("file:") else (fs.LocalFileSystem(), folder)
         store.create_dir(root, recursive=True)
-        now, out, name = None, None, None
-
-        def close():
-            if out is not None:
-                out.close()
-                store.move(f"{root}/_{name}", f"{root}/{final}")
-
-        final = ""
+        out, name, final = None, "", ""
         for b in batches:
-            shards, raws = b.column(1).to_pylist(), b.column(4).to_pylist()
-            for shard, raw in zip(shards, raws):
-                if shard != now:
-                    close()
-                    now, final = shard, f"shard-{shard:08d}.bin"
-                    name = f"{final}.{uuid.uuid4().hex}"
-                    out = store.open_output_stream(f"{root}/_{name}")
+            raws = b.column(4).to_pylist()
+            if raws and out is None:
+                final = f"shard-{b.column(1)[0].as_py():08d}.bin"
+                name = f"_{final}.{uuid.uuid4().hex}"
+                out = store.open_output_stream(f"{root}/{name}")
+            for raw in raws:
                 out.write(raw)
             slots = b.column(0).to_numpy()
             yield pa.RecordBatch.from_arrays(
-                [b.column(0), b.column(1), pa.array(slots % per_shard * stride), b.column(2), pa.array([zlib.crc32(r) for r in raws], pa.int64()), b.column(3), pa.array([f"shard-{s:08d}.bin" for s in shards])],
+                [b.column(0), b.column(1), pa.array(slots % per_shard * stride), b.column(2), pa.array([zlib.crc32(r) for r in raws], pa.int64()), b.column(3), pa.array([final] * len(raws))],
                 names=["slot", "shard", "offset", "n_tokens", "ids_crc32", "doc_ids", "file"],
             )
-        close()
+        if out is not None:
+            out.close()
+            store.move(f"{root}/{name}", f"{root}/{final}")
 
     made = texts.mapInArrow(make, "slot long, shard long, n_tokens int, doc_ids array<long>, ids binary")
-    parts = max(1, min(-(-total // per_shard), int(spark.conf.get("spark.sql.shuffle.partitions")) * 8))
-    ranged = made.repartition(parts, "shard").sortWithinPartitions("slot")
+    ranged = made.repartitionById(max(1, -(-total // per_shard)), F.col("shard").cast("int")).sortWithinPartitions("slot")
     index = "slot long, shard long, offset long, n_tokens int, ids_crc32 long, doc_ids array<long>, file string"
     return durable(ranged.mapInArrow(write, index)).withColumn("folder", F.lit(folder))
 
