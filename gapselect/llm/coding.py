@@ -3,7 +3,8 @@
 Defined results: a null text is the empty text, which has no ids; the string of an added
 token inside a text becomes that token's id; ids decode to the bytes of their tokens, and
 bytes that are not UTF-8 (ids that were not made by the encoder) to the replacement
-character. Extra columns are not read; repeated rows are coded each.
+character. Extra columns are not read; repeated rows are coded each; an empty table gives
+no rows; very long texts are coded whole, batches being cut to about 8 MB of text.
 """
 
 from __future__ import annotations

@@ -5,7 +5,9 @@ a row ``(measure, lowest, highest)`` of a table; the verdict is the conjunction
 rows. No user function runs.
 
 Defined results: a null or blank text has no words, all counts are 0 and it fails the
-base rule; other columns pass through untouched in ``filter_quality``.
+base rule; other columns, whatever their names, pass through untouched in
+``filter_quality``; repeated rows are judged each; an empty table gives no rows; very long
+texts are measured whole, in one row's memory.
 """
 
 from __future__ import annotations
