@@ -18,16 +18,23 @@ Sets that are equal are one node. A set that links to another shares at least
 
 Groups are not expanded into pairs. A few pivots per group are compared with all members
 (rows, not squares) and components follow, for large groups turn by turn with other pivots
-while that closes a good part of what is open; only members outside a
-group's largest component are then compared with what they are not yet connected to. Every comparison walks the tree
-of the compared sets with the pivot's set: overlap counted on a shared trunk is kept for
-all paths below it, and a subtree is left as soon as the overlap so far plus the remaining
-length cannot reach the bound. No cap: every pair that could link is either compared or
-already connected.
+while that closes a good part of what is open. What is then still open is closed group by
+group: the members outside the group's largest component are the queries, all members,
+their paths cut behind the group's shingle, are the tree, and only the links that join
+components come out.
+
+Trees are sorted paths, which is their depth-first order, with the trunk that each shares
+with the one before. All queries of a tree walk through it together: overlaps counted on a
+trunk are kept for all paths below it, and a subtree is left as soon as no query's overlap
+so far plus the remaining length can reach its bound. Trees and queries meet in blocks of
+about ``BLOCK`` sets, so memory does not grow with a group, and groups of a hot shingle are
+dealt out over tasks. No cap: every pair that could link is either compared or already
+connected.
 
 Defined results: null, empty and blank texts have no shingles and link with nothing; texts
-of fewer words than ``width`` have one; repeated rows link through their equal sets; an
-empty table gives no rows; extra columns are not read.
+of fewer words than ``width`` have one; repeated rows link through their equal sets, and
+rows that repeat an id with other texts are documents of their own; a null id is larger
+than any other; an empty table gives no rows; extra columns are not read.
 """
 
 from __future__ import annotations
@@ -37,14 +44,20 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gapselect.llm.common import as_text, durable, release
+from gapselect.llm.common import as_text, distinct_ids, durable, numbered, release, written
 from gapselect.llm.components import connected_components
 from gapselect.llm.shingles import mix, shingle_sets
 
 WIDTH, PERCENT = 4, 85
 #: Groups with more members than this get further turns of pivots before the last stage.
 LARGE = 16
-_FILTER_BITS = 1 << 20
+#: Paths of a tree, queries of a tree, and members of a shingle's group, that go together.
+BLOCK = 128
+#: Cells of the table of shingles by queries that a walk holds at once.
+_CELLS = 1 << 24
+#: Bits of the filter of sets that may link, by their number; beyond it more sets pass, which
+#: the join with the sets themselves then drops.
+FILTER_BITS = (1 << 16, 1 << 24)
 _SALT = np.uint64(0xD1B54A32D192ED03)
 
 
@@ -63,22 +76,24 @@ def _node(key: bytes) -> int:
 
 
 def set_rows(docs: DataFrame, width: int) -> DataFrame:
-    """(doc_id, n, key): size and 128-bit key of every document's set; key is null for none."""
+    """(doc_id, n, key, mark): size, 128-bit key and a 63-bit mark of every document's set;
+    key and mark are null for none."""
 
     def run(batches):
         for b in batches:
-            n, keys = np.zeros(b.num_rows, np.int64), [None] * b.num_rows
+            n, keys, marks = np.zeros(b.num_rows, np.int64), [None] * b.num_rows, [None] * b.num_rows
             for row, tokens in shingle_sets(b.column(1), width):
                 n[row] = len(tokens)
                 if len(tokens):
                     keys[row] = set_key(tokens)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n), pa.array(keys, pa.binary())], names=["doc_id", "n", "key"])
+                    marks[row] = _node(keys[row])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n), pa.array(keys, pa.binary()), pa.array(marks, pa.int64())], names=["doc_id", "n", "key", "mark"])
 
-    return docs.mapInArrow(run, "doc_id long, n long, key binary")
+    return docs.mapInArrow(run, "doc_id long, n long, key binary, mark long")
 
 
 def _sieve(docs: DataFrame, total: int, width: int, percent: int) -> DataFrame:
-    """slot (of a filter) of every set that may link; total: shingles of all documents."""
+    """mark of every set that may link; total: shingles of all documents."""
 
     def offer(batches):
         from pyspark import TaskContext
@@ -130,40 +145,54 @@ def _sieve(docs: DataFrame, total: int, width: int, percent: int) -> DataFrame:
         if nodes:
             yield from flush()
 
-    def meet(batches):
-        parts = [tuple(b.column(k).to_numpy(zero_copy_only=False) for k in range(5)) for b in batches]
-        if not parts:
-            return
-        token, node, live, need, task = (np.concatenate(c) for c in zip(*parts))
-        posting = need == 0
-        t, v, k = token[posting], node[posting], task[posting]
-        order = np.lexsort((v, t))
-        t, v, k = t[order], v[order], k[order]
-        first = np.r_[True, t[1:] != t[:-1]] if len(t) else np.zeros(0, bool)
-        other = np.r_[True, (v[1:] != v[:-1]) | (t[1:] != t[:-1])] if len(t) else first
+    def hits(t, v, k):
+        """(set, task) of the rows, sorted by shingle and set, whose shingle is in two sets or
+        is flagged; a flag (-1) stands for two."""
+        first = np.r_[True, t[1:] != t[:-1]]
+        other = np.r_[True, (v[1:] != v[:-1])] | first
         group = np.cumsum(first) - 1
-        kinds = np.bincount(group[other], minlength=int(first.sum())) + np.bincount(group[v == -1], minlength=int(first.sum()))
+        kinds = np.bincount(group[other]) + np.bincount(group[v == -1], minlength=int(group[-1]) + 1)
         hit = (kinds[group] > 1) & (v != -1)
-        pairs, n = np.unique(np.stack([v[hit], k[hit]]), axis=1, return_counts=True) if hit.any() else (np.zeros((2, 0), np.int64), np.zeros(0, np.int64))
-        own = ~posting
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(np.concatenate(c)) for c in ((pairs[0], node[own]), (pairs[1], task[own]), (n.astype(np.int64), live[own].astype(np.int64)), (np.zeros(len(n), np.int64), need[own].astype(np.int64)))],
-            names=["node", "task", "live", "need"],
-        )
+        return v[hit], k[hit]
+
+    def meet(batches):
+        # What is carried on of a shingle that goes on in the next batch: the rows of its one
+        # set so far, at most one a scan task; or a flag, once it has two.
+        t, v, k = (np.zeros(0, np.int64) for _ in range(3))
+        for b in batches:
+            token, node, live, need, task = (b.column(i).to_numpy(zero_copy_only=False) for i in range(5))
+            posting = need == 0
+            t, v, k = (np.concatenate([x, y[posting]]) for x, y in ((t, token), (v, node), (k, task)))
+            found, runs = np.zeros(0, np.int64), np.zeros(0, np.int64)
+            if len(t):
+                cut = int(np.flatnonzero(np.r_[True, t[1:] != t[:-1]])[-1])
+                if v[-1] == -1 or v[cut] != v[-1]:
+                    found, runs = hits(t, v, k)
+                    t, v, k = t[-1:], np.full(1, -1, np.int64), k[-1:]
+                else:
+                    if cut:
+                        found, runs = hits(t[:cut], v[:cut], k[:cut])
+                    t, v, k = t[cut:], v[cut:], k[cut:]
+            own = ~posting
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(np.concatenate(c)) for c in ((found, node[own]), (runs, task[own]), (np.ones(len(found), np.int64), live[own].astype(np.int64)), (np.zeros(len(found), np.int64), need[own].astype(np.int64)))],
+                names=["node", "task", "live", "need"],
+            )
 
     parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), total // 4 // 500_000 + 1)
-    sent = docs.select("text").mapInArrow(offer, "token long, node long, live int, need int, task long").repartition(parts, "token")
-    told = sent.mapInArrow(meet, "node long, task long, live long, need long")
+    sent = docs.select("text").mapInArrow(offer, "token long, node long, live int, need int, task long")
+    told = sent.repartition(parts, "token").sortWithinPartitions("token", "node").mapInArrow(meet, "node long, task long, live long, need long")
     able = told.groupBy("node", "task").agg(F.sum("live").alias("live"), F.max("need").alias("need")).filter("live >= need")
-    return able.select(F.expr(f"node % {_FILTER_BITS}").alias("slot")).distinct()
+    return able.select(F.col("node").alias("mark")).distinct()
 
 
-def _filter_of(slots: DataFrame) -> np.ndarray:
-    """A one-hash filter of fixed size (128 KB) as bytes, gathered by its words."""
-    words = slots.selectExpr("int(slot div 64) AS w", "shiftleft(1L, int(slot % 64)) AS b").groupBy("w").agg(F.bit_or("b").alias("b")).collect()
-    out = np.zeros(_FILTER_BITS // 64, np.int64)
-    for r in words:
-        out[r["w"]] = r["b"]
+def _filter_of(marks: DataFrame, n: int) -> np.ndarray:
+    """A one-hash filter of ``n`` marks, at most 2 MB, gathered by its words."""
+    bits = min(FILTER_BITS[1], max(FILTER_BITS[0], 1 << (16 * n).bit_length()))
+    slot = marks.select(F.expr(f"mark % {bits}").alias("slot"))
+    words = slot.selectExpr("int(slot div 64) AS w", "shiftleft(1L, int(slot % 64)) AS b").groupBy("w").agg(F.bit_or("b").alias("b")).toArrow()
+    out = np.zeros(bits // 64, np.int64)
+    out[words.column("w").to_numpy()] = words.column("b").to_numpy()
     return np.unpackbits(out.view(np.uint8), bitorder="little").astype(bool)
 
 
@@ -175,7 +204,7 @@ def _candidate_sets(docs: DataFrame, passing: np.ndarray, width: int) -> DataFra
         for b in batches:
             rows = []
             for _, tokens in shingle_sets(b.column(0), width):
-                if not len(tokens) or (key := set_key(tokens)) in seen or not passing[_node(key) % _FILTER_BITS]:
+                if not len(tokens) or (key := set_key(tokens)) in seen or not passing[_node(key) % len(passing)]:
                     continue
                 seen.add(key)
                 rows.append((key, len(tokens), tokens.view(np.int64)))
@@ -188,53 +217,111 @@ def _candidate_sets(docs: DataFrame, passing: np.ndarray, width: int) -> DataFra
     return docs.select("text").mapInArrow(run, "key binary, n long, tokens array<long>")
 
 
-def tree_links(query: np.ndarray, n_query: int, paths: list[np.ndarray], sizes: list[int], percent: int) -> list[bool]:
-    """Which of ``paths`` (sets in global order) link with the sorted ``query``: one
-    depth-first walk of their prefix tree, taken in order of the paths."""
-    order = sorted(range(len(paths)), key=lambda i: paths[i].astype(">i8").tobytes())
-    out = [False] * len(paths)
-    trunk, kept = np.zeros(0, np.int64), np.zeros(1, np.int64)  # path walked so far; overlap after each step
-    for i in order:
-        path = paths[i]
-        need = -(-percent * (sizes[i] + n_query) // (100 + percent))
-        k = min(len(trunk), len(path))
-        apart = np.flatnonzero(trunk[:k] != path[:k])
-        k = int(apart[0]) if len(apart) else k
-        if kept[k] + min(len(path) - k, len(query) - kept[k]) < need:
-            trunk, kept = trunk[:k], kept[: k + 1]
-            continue
-        tail = path[k:]
-        at = np.minimum(np.searchsorted(query, tail), len(query) - 1)
-        kept = np.concatenate([kept[: k + 1], kept[k] + np.cumsum(query[at] == tail)])
-        trunk = path
-        out[i] = bool(kept[-1] >= need)
-    return out
+class PrefixTree:
+    """Sets of sizes ``sizes`` as sorted paths of a tree."""
+
+    def __init__(self, paths: list[np.ndarray], sizes: np.ndarray):
+        self.paths, self.sizes = paths, sizes
+        self.ends = np.cumsum([0, *map(len, paths)])
+        self.flat = np.concatenate(paths)
+        self.shared = [0]  # steps that a path has in common with the one before
+        for x, y in zip(paths, paths[1:]):
+            k = min(len(x), len(y))
+            apart = x[:k] != y[:k]
+            at = int(apart.argmax()) if k else 0
+            self.shared.append(at if k and apart[at] else k)
+
+    def walk(self, queries: list[np.ndarray], sizes: np.ndarray, percent: int) -> np.ndarray:
+        """Which path links with which query: one depth-first walk of all queries."""
+        known = np.unique(np.concatenate(queries))
+        step = max(1, _CELLS // (len(known) + 1))
+        if step < len(queries):
+            return np.concatenate([self.walk(queries[k : k + step], sizes[k : k + step], percent) for k in range(0, len(queries), step)], axis=1)
+        held = np.zeros((len(known) + 1, len(queries)), np.uint8)
+        for q, tokens in enumerate(queries):
+            held[np.searchsorted(known, tokens), q] = 1
+        at = np.minimum(np.searchsorted(known, self.flat), len(known) - 1)
+        at[known[at] != self.flat] = len(known)  # the row of no query
+        lengths = np.array([len(q) for q in queries])
+        need = -(-percent * (self.sizes[:, None] + sizes[None, :]) // (100 + percent))
+        kept = np.zeros((int(np.diff(self.ends).max()) + 1, len(queries)), np.int32)  # overlaps after each step of the trunk
+        out, depth = np.zeros(need.shape, bool), 0
+        for i in range(len(self.paths)):
+            a, b = self.ends[i], self.ends[i + 1]
+            k = min(self.shared[i], depth)
+            if (kept[k] + np.minimum(b - a - k, lengths - kept[k]) < need[i]).all():
+                depth = k
+                continue
+            np.cumsum(held[at[a + k : b]], axis=0, dtype=np.int32, out=kept[k + 1 : b - a + 1])
+            kept[k + 1 : b - a + 1] += kept[k]
+            out[i] = kept[b - a] >= need[i]
+            depth = int(b - a)
+        return out
+
+
+def _walked(trees: DataFrame, percent: int, spanning: bool) -> DataFrame:
+    """(a, b, ok) of every path a and query b of a tree; with ``spanning`` only those links
+    that join components, each of a block once.
+
+    trees: tree, part, is_path, node, n, comp, tokens; the queries of a part go through
+    its paths.
+    """
+
+    def joined(queries, paths):
+        tree = PrefixTree([p[3] for p in paths], np.array([p[1] for p in paths]))
+        ok = tree.walk([q[3] for q in queries], np.array([q[1] for q in queries]), percent)
+        if not spanning:
+            return [(p[0], q[0], bool(ok[i, k])) for i, p in enumerate(paths) for k, q in enumerate(queries)]
+        root: dict[int, int] = {}
 
+        def find(x: int) -> int:
+            while root.setdefault(x, x) != x:
+                x = root[x]
+            return x
 
-def _compare(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """(a, b, ok) of the pairs (a, b)."""
+        out = []
+        for i, k in zip(*np.nonzero(ok)):
+            x, y = find(paths[i][2]), find(queries[k][2])
+            if x != y:
+                root[x] = y
+                out.append((paths[i][0], queries[k][0], True))
+        return out
 
     def run(batches):
-        for b in batches:
-            a_id, b_id, na, nb = (b.column(k).to_numpy() for k in range(4))
-            ta, tb = b.column(4), b.column(5)
-            fa, oa = ta.values.to_numpy(), ta.offsets.to_numpy()
-            fb, ob = tb.values.to_numpy(), tb.offsets.to_numpy()
-            ok = np.zeros(b.num_rows, bool)
-            i = 0
-            while i < b.num_rows:
-                j = i + 1
-                while j < b.num_rows and b_id[j] == b_id[i]:
-                    j += 1
-                query = np.sort(fb[ob[i] : ob[i + 1]])
-                ok[i:j] = tree_links(query, int(nb[i]), [fa[oa[k] : oa[k + 1]] for k in range(i, j)], [int(x) for x in na[i:j]], percent) if len(query) else False
-                i = j
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(ok)], names=["a", "b", "ok"])
-
-    left = sets.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("tokens").alias("ta"))
-    right = sets.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("tokens").alias("tb"))
-    joined = pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "ta", "tb")
-    return joined.mapInArrow(run, "a long, b long, ok boolean")
+        key, queries, paths = None, [], []
+
+        def batch(rows):
+            a, b, ok = zip(*rows)
+            return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(ok, pa.bool_())], names=["a", "b", "ok"])
+
+        for rows in batches:
+            tree, part, is_path, node, n, comp = (rows.column(k).to_pylist() for k in range(6))
+            flat, ends = rows.column(6).values.to_numpy(), rows.column(6).offsets.to_numpy()
+            for i in range(rows.num_rows):
+                if (tree[i], part[i]) != key:
+                    if queries and paths and (found := joined(queries, paths)):
+                        yield batch(found)
+                    key, queries, paths = (tree[i], part[i]), [], []
+                (paths if is_path[i] else queries).append((node[i], n[i], comp[i], flat[ends[i] : ends[i + 1]].copy()))
+        if queries and paths and (found := joined(queries, paths)):
+            yield batch(found)
+
+    ordered = trees.select("tree", "part", "is_path", "node", "n", "comp", "tokens").repartition("tree", "part").sortWithinPartitions("tree", "part", "is_path", "tokens")
+    return ordered.mapInArrow(run, "a long, b long, ok boolean")
+
+
+def _parts(count) -> str:
+    return f"int(({count} - 1) div {BLOCK} + 1)"
+
+
+def _compare(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """(a, b, ok) of the pairs (a, b); b is the query, the sets of its a are its tree."""
+    pairs = written(pairs.select("a", "b"))
+    sizes = written(pairs.groupBy("b").agg(F.expr(_parts("count(1)")).alias("parts")))
+    dealt = pairs.join(sizes.filter("parts > 1"), "b", "left").withColumn("part", F.coalesce(F.expr("pmod(xxhash64(a), parts)"), F.lit(0)))
+    paths = dealt.select(F.col("b").alias("tree"), "part", F.lit(1).alias("is_path"), F.col("a").alias("node"))
+    queries = sizes.select(F.col("b").alias("tree"), F.expr("explode(sequence(0L, bigint(parts - 1)))").alias("part"), F.lit(0).alias("is_path"), F.col("b").alias("node"))
+    return _walked(queries.unionByName(paths).join(sets, "node").withColumn("comp", F.col("node")), percent, False)
 
 
 def _fits(x: str, y: str, percent: int):
@@ -271,22 +358,32 @@ def components_of_links(links: DataFrame, per_task: int = 200_000) -> DataFrame:
     return connected_components(stars.select(F.col("node").alias("u"), F.col("component").alias("v")))
 
 
+def _blocks_of(tokens: DataFrame) -> DataFrame:
+    """A row for each block of the group of a shingle."""
+    return tokens.withColumn("block", F.expr("explode(sequence(0, blocks - 1))")).drop("blocks")
+
+
 def _still_open(group: DataFrame, links: DataFrame) -> DataFrame:
     """Rows of groups that hold more than one component, with components by ``links``.
     Groups of two are done once a pivot was compared with the other member."""
     label = components_of_links(links)
-    named = group.drop("comp", "m").join(label, "node", "left").withColumn("comp", F.coalesce("component", "node")).drop("component")
-    several = named.groupBy("token").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1"), F.count(F.lit(1)).alias("m")).filter("c0 <> c1 AND m > 2")
-    return durable(named.join(several.select("token", "m"), "token"))
+    named = written(group.drop("comp", "m").join(label, "node", "left").withColumn("comp", F.coalesce("component", "node")).drop("component"))
+    several = named.groupBy("token").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1"), F.count(F.lit(1)).alias("m"), F.max("blocks").alias("blocks")).filter("c0 <> c1 AND m > 2")
+    return written(named.join(_blocks_of(several.select("token", "m", "blocks")), ["token", "block"]))
+
+
+def _once(met: DataFrame) -> DataFrame:
+    """(a, b) of the pairs of a member x and a query q, each pair once."""
+    return met.groupBy(F.least("x", "q").alias("lo"), F.greatest("x", "q").alias("hi")).agg(F.min("q").alias("b")).select(F.expr("if(b = lo, hi, lo)").alias("a"), "b")
 
 
 def _pivot_pairs(group: DataFrame, turn: int, pivots: int, percent: int) -> DataFrame:
     """Pairs of every member with its group's pivots, where not yet connected."""
     picks = [F.min(F.struct(F.xxhash64("node", F.lit(turn * pivots + k)).alias("h"), "node", "n", "left", "comp")).alias(f"p{k}") for k in range(pivots)]
-    chosen = group.groupBy("token").agg(*picks, F.min("comp").alias("c0"), F.max("comp").alias("c1")).filter("c0 <> c1")
-    each = chosen.select("token", F.explode(F.array(*[f"p{k}" for k in range(pivots)])).alias("p"))
-    met = group.join(each, "token").filter((F.col("comp") != F.col("p.comp")) & _fits("", "p.", percent))
-    return met.select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b")).distinct()
+    chosen = group.groupBy("token").agg(*picks, F.min("comp").alias("c0"), F.max("comp").alias("c1"), F.max("blocks").alias("blocks")).filter("c0 <> c1")
+    each = _blocks_of(chosen.select("token", "blocks", F.explode(F.array(*[f"p{k}" for k in range(pivots)])).alias("p")))
+    met = group.join(each, ["token", "block"]).filter((F.col("comp") != F.col("p.comp")) & _fits("", "p.", percent))
+    return _once(met.select(F.col("node").alias("x"), F.col("p.node").alias("q")))
 
 
 def _open_pairs(group: DataFrame) -> tuple[int, int]:
@@ -296,58 +393,63 @@ def _open_pairs(group: DataFrame) -> tuple[int, int]:
     return tuple(sized.agg(F.coalesce(F.sum((F.col("all") - F.col("main")) * F.col("all")), F.lit(0)), F.coalesce(F.sum("all"), F.lit(0))).first())
 
 
-def _rest_pairs(group: DataFrame, ordered: DataFrame, percent: int) -> DataFrame:
-    """All pairs of a group that are not connected: of members outside the group's largest
-    component with every other member. A pair is made once, where its paths first meet from
-    the rare end: the steps behind this one, which are few, must have nothing in common."""
-    sized = group.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("m"))
-    top = sized.groupBy("token").agg(F.max(F.struct("m", "comp")).alias("top"), F.count(F.lit(1)).alias("k")).filter("k > 1").select("token", F.col("top.comp").alias("main"))
-    low = F.ceil(percent * F.col("n") / 100).cast("int")
-    tails = ordered.select("node", F.slice("tokens", low, F.size("tokens")).alias("tail"))
-    placed = group.select("node", "n", "token", "left", "comp").join(tails, "node")
-    placed = placed.withColumn("behind", F.slice("tail", F.col("left") - low + 2, F.size("tail"))).drop("tail")
-    out = placed.join(top, "token").filter("comp <> main")
-    x, y = out.alias("x"), placed.alias("y")
-    new = (F.col("x.comp") != F.col("y.comp")) & _fits("x.", "y.", percent) & ~F.arrays_overlap("x.behind", "y.behind")
-    met = x.join(y, F.col("x.token") == F.col("y.token")).filter(new)
-    return met.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
+def _rest_links(group: DataFrame, ordered: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) that join components of a group: its members outside the largest one
+    walk through the tree of all members. Where a pair links, the group of its last common
+    step sees its whole overlap, so paths and queries are cut behind their group's step."""
+    sized = group.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("m"), F.max("blocks").alias("blocks"))
+    top = sized.groupBy("token").agg(F.max(F.struct("m", "comp")).alias("top"), F.sum("m").alias("m"), F.count(F.lit(1)).alias("k"), F.max("blocks").alias("blocks")).filter("k > 1")
+    top = _blocks_of(top.selectExpr("token", "top.comp AS main", f"{_parts('m - top.m')} AS parts", "blocks"))
+    open_rows = written(group.select("token", "block", "blocks", "node", "n", "left", "comp").join(top, ["token", "block"]))
+    queries = open_rows.filter("comp <> main").withColumn("own", F.expr("pmod(xxhash64(node, 1), parts)")).withColumn("block", F.expr("explode(sequence(0, blocks - 1))"))
+    paths = open_rows.withColumn("own", F.expr("explode(sequence(0L, bigint(parts - 1)))"))
+    cols = [F.col("token").alias("tree"), F.expr("block * bigint(parts) + own").alias("part"), "node", "n", "left", "comp"]
+    both = queries.select(*cols, F.lit(0).alias("is_path")).unionByName(paths.select(*cols, F.lit(1).alias("is_path")))
+    trees = both.join(ordered.select("node", "tokens"), "node").withColumn("tokens", F.slice("tokens", F.lit(1), F.col("left")))
+    return written(_walked(trees, percent, True))
 
 
 def link_components(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, id_col: str = "doc_id", text_col: str = "text", pivots: int = 2, turns: int = 2) -> DataFrame:
     """doc_id, n_shingles, component_id: smallest doc_id reachable by links."""
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), as_text(text_col).alias("text"))
-    rows = durable(set_rows(texts, width))
+    rows = written(set_rows(texts, width).withColumn("row", F.monotonically_increasing_id()))
     total = rows.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    nodes = durable(rows.filter("key IS NOT NULL").groupBy("key").agg(F.min("doc_id").alias("node")))
-    label = None
-    passing = _filter_of(_sieve(texts, total, width, percent))
+    nodes = written(rows.filter("key IS NOT NULL").groupBy("key", "mark").agg(F.min("row").alias("node"), F.min("doc_id").alias("least")))
+    known = nodes.select("key", "least")
+    able = written(_sieve(texts, total, width, percent))
     release(docs.sparkSession)
-    if passing.any():
-        found = _candidate_sets(texts, passing, width).groupBy("key").agg(F.first("n").alias("n"), F.first("tokens").alias("tokens"))
-        sets = durable(found.join(nodes, "key").select("node", "n", "tokens"))
+    if many := able.count():
+        found = _candidate_sets(texts, _filter_of(able, many), width).groupBy("key").agg(F.first("n").alias("n"), F.first("tokens").alias("tokens"))
+        sets = durable(found.join(nodes.join(able, "mark", "left_semi"), "key").select("node", "n", "tokens"))
         del found
         release(docs.sparkSession)
         label = _components_of(sets, percent, pivots, turns)
-    known = nodes.withColumn("component", F.col("node")) if label is None else nodes.join(label, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    out = rows.join(known.select("key", "component"), "key", "left")
-    return out.select(F.col("doc_id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
+        if label is not None:
+            named = written(nodes.join(label, "node").select("key", "least", "component"))
+            first = written(named.groupBy("component").agg(F.min("least").alias("first")))
+            linked = written(named.join(first, "component").select("key", "first"))
+            known = written(nodes.join(linked, "key", "left").select("key", F.coalesce("first", "least").alias("least")))
+    out = rows.join(known, "key", "left")
+    return out.select(F.col("doc_id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("least", "doc_id").alias("component_id"))
 
 
 def _components_of(sets: DataFrame, percent: int, pivots: int, turns: int, most_turns: int = 10) -> DataFrame | None:
     """(node, component) of the nodes that link; None if there are none."""
     every = sets.select("node", "n", F.explode("tokens").alias("token"))
     common = every.groupBy("token").agg(F.count(F.lit(1)).alias("df")).filter("df > 1")
-    shared = every.join(common, "token").groupBy("node", "n").agg(F.sort_array(F.collect_list(F.struct("df", "token")), asc=False).alias("t"))
+    # A shingle's number is its place in the one global order, frequent first.
+    common = written(common.orderBy(F.desc("df"), "token").select("token", F.monotonically_increasing_id().alias("step")))
+    shared = every.join(common, "token").groupBy("node", "n").agg(F.sort_array(F.collect_list("step")).alias("tokens"))
     # ceil(percent * n / 100) shared shingles at least; the others of the set are in no other set
-    ordered = durable(shared.filter(100 * F.size("t") >= percent * F.col("n")).select("node", "n", F.col("t.token").alias("tokens")))
+    ordered = durable(shared.filter(100 * F.size("tokens") >= percent * F.col("n")).select("node", "n", "tokens"))
     del every, common, shared
     release(sets.sparkSession)
     # a step further than ceil(percent * n / 100) from the trunk is where a path may first meet another
     low = F.ceil(percent * F.col("n") / 100).cast("int")
     steps = ordered.select("node", "n", low.alias("low"), F.posexplode(F.slice("tokens", low, F.size("tokens"))).alias("k", "token"))
     group = steps.select("node", "n", "token", (F.col("low") + F.col("k")).alias("left"))
-    several = group.groupBy("token").agg(F.count(F.lit(1)).alias("m")).filter("m > 1").select("token")
-    group = durable(group.join(several, "token").withColumn("comp", F.col("node")))
+    several = written(group.groupBy("token").agg(F.count(F.lit(1)).alias("m")).filter("m > 1").selectExpr("token", f"int((m - 1) div {BLOCK} + 1) AS blocks"))
+    group = written(group.join(several, "token").withColumn("block", F.expr("int(pmod(xxhash64(node), blocks))")).withColumn("comp", F.col("node")))
     if group.isEmpty():
         return None
     tried, links = None, None
@@ -355,10 +457,10 @@ def _components_of(sets: DataFrame, percent: int, pivots: int, turns: int, most_
     def compare(pairs: DataFrame) -> None:
         nonlocal tried, links
         if tried is not None:
-            pairs = pairs.join(tried, ["a", "b"], "left_anti")
-        seen = durable(_compare(pairs, ordered, percent))
-        good = seen.filter("ok").select("a", "b")
-        tried = seen.select("a", "b") if tried is None else tried.unionByName(seen.select("a", "b"))
+            pairs = pairs.join(tried, (F.least("a", "b") == F.col("lo")) & (F.greatest("a", "b") == F.col("hi")), "left_anti")
+        seen = written(_compare(pairs, ordered, percent))
+        good, done = seen.filter("ok").select("a", "b"), seen.select(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi"))
+        tried = done if tried is None else tried.unionByName(done)
         links = good if links is None else links.unionByName(good)
 
     for turn in range(turns):
@@ -375,13 +477,20 @@ def _components_of(sets: DataFrame, percent: int, pivots: int, turns: int, most_
         large = _still_open(large, links)
     if before is not None:
         group = _still_open(group, links)
-    compare(_rest_pairs(group, ordered, percent))
-    return components_of_links(links)
+    rest = _rest_links(group, ordered, percent).select("a", "b")
+    return written(components_of_links(links.unionByName(rest)))
 
 
 def one_of_each(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``docs`` with one document of each component, that of the smallest id; documents
-    without shingles all stay. Columns stay as they are."""
-    found = link_components(docs, width, percent, id_col, text_col)
-    stay = found.filter((F.col("component_id") == F.col(id_col)) | F.col("component_id").isNull()).select(F.col(id_col).alias("__stay")).distinct()
-    return docs.join(stay, docs[id_col].eqNullSafe(stay["__stay"]), "left_semi")
+    """``docs`` with one row of each component, that of the smallest id (of rows that
+    repeat it, the first); rows without shingles all stay. Columns stay as they are."""
+    if distinct_ids(docs, id_col):
+        found = link_components(docs, width, percent, id_col, text_col)
+        stay = found.filter((F.col("component_id") == F.col(id_col)) | F.col("component_id").isNull()).select(F.col(id_col).alias("__stay"))
+        return docs.join(stay, docs[id_col].eqNullSafe(stay["__stay"]), "left_semi")
+    rows, row = numbered(docs)
+    found = written(link_components(rows, width, percent, row, text_col))
+    least = rows.select(F.col(row).alias("at"), F.struct(F.col(id_col).isNull(), F.col(id_col), F.col(row).alias("at")).alias("place")).join(found.withColumnRenamed(row, "at"), "at")
+    alone = found.filter("n_shingles = 0").select(row)
+    stay = least.filter("n_shingles > 0").groupBy("component_id").agg(F.min("place").alias("place")).select(F.col("place.at").alias(row)).unionByName(alone)
+    return rows.join(stay, row, "left_semi").drop(row)

@@ -80,6 +80,44 @@ def test_one_of_each(spark):
     assert {r.doc_id for r in out.collect()} == {i for i, (_, c) in want.items() if i == c} and out.columns == ["doc_id", "text"]
 
 
+def test_one_of_each_decides_by_row(spark):
+    from gapselect.llm.ngram_join import one_of_each
+
+    a = " ".join(f"a{k}" for k in range(40))
+    b = " ".join(f"b{k}" for k in range(40))
+    rows = [(1, a), (1, a), (1, b), (2, b + " more"), (0, a + " more"), (5, None), (5, ""), (None, a), (7, "alone here")]
+    out = one_of_each(spark.createDataFrame([(i, t, "x") for i, t in rows], "doc_id long, text string, component_id string").repartition(4))
+    assert sorted(((r.doc_id, r.text) for r in out.collect()), key=str) == sorted([(0, a + " more"), (1, b), (5, None), (5, ""), (7, "alone here")], key=str)
+
+
+def test_hot_group_in_blocks(spark, monkeypatch):
+    """Groups and trees of many blocks give the links of all pairs."""
+    from gapselect.llm import ngram_join
+
+    monkeypatch.setattr(ngram_join, "BLOCK", 4)
+    rows = corpus(13, 50)
+    assert run(spark, rows) == brute(rows)
+
+
+def test_tree_walk(monkeypatch):
+    """One walk of all queries over sorted paths gives the link test of every pair."""
+    import numpy as np
+
+    from gapselect.llm import ngram_join
+
+    rng = random.Random(2)
+    for percent, cells in ((50, 1 << 24), (80, 1 << 24), (85, 200)):
+        monkeypatch.setattr(ngram_join, "_CELLS", cells)
+        base = set(rng.sample(range(40), 20))
+        sets = [sorted(base - set(rng.sample(range(40), rng.randint(0, 8))) | set(rng.sample(range(60), rng.randint(0, 3)))) for _ in range(70)]
+        paths, queries = sorted(x for x in sets[:60] if x), [x for x in sets[60:] if x]
+        tree = ngram_join.PrefixTree([np.array(p, np.int64) for p in paths], np.array([len(p) for p in paths]))
+        got = tree.walk([np.array(q, np.int64) for q in queries], np.array([len(q) for q in queries]), percent)
+        for i, p in enumerate(paths):
+            for k, q in enumerate(queries):
+                assert got[i, k] == (100 * len(set(p) & set(q)) >= percent * len(set(p) | set(q)))
+
+
 def test_components_of_links(spark):
     from gapselect.llm.ngram_join import components_of_links
 
