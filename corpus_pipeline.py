@@ -2,6 +2,11 @@
 
 Each stage reads what the stage before it kept, as written to the shared folder; all but
 the last give rows with the columns of ``documents``.
+
+Defined results: documents with a null, empty or blank text fail the quality rules and go;
+of rows that repeat, even with their id, one stays; an empty table gives no rows; columns
+beside ``doc_id`` and ``text`` pass through, null or not, and are not packed; very long texts
+are judged whole and cut only by packing.
 """
 
 from __future__ import annotations
