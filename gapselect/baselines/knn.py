@@ -55,6 +55,51 @@ def distances(c0, c1, d0, d1, how: str, within: tuple[int, int]) -> np.ndarray:
     return out
 
 
+#: Donors and receivers compared at a time: their distances stay in a core's cache.
+TILE = (64, 8192)
+
+
+def nearest(c0, c1, d0, d1, how: str, within: tuple[int, int], absent: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """(distances, donors) of the ``k`` nearest donors that are not ``absent`` of every
+    receiver, in order of (distance, donor); 255 where there are fewer. Distances are bytes;
+    tile by tile the smallest is taken ``k`` times, the first of equal ones."""
+    best = np.full((len(c0), k), 255, np.uint8)
+    who = np.zeros((len(c0), k), np.int64)
+    words = [(c, d, np.int64(w)) for c, d, w in ((c0, d0, within[0]), (c1, d1, within[1])) if w]
+    for i in range(0, len(c0), TILE[0]):
+        rows = slice(i, min(len(c0), i + TILE[0]))
+        near, near_who = best[rows], who[rows]
+        at = np.arange(len(near))
+        for j in range(0, len(d0), TILE[1]):
+            cols = slice(j, min(len(d0), j + TILE[1]))
+            dist = np.repeat(np.where(absent[cols], 255, 0).astype(np.uint8)[None], len(near), axis=0)
+            free = ~absent[cols]
+            if not free.any():
+                continue
+            for c, d, w in words:
+                a, b = c[rows, None] & w, d[None, cols] & w
+                x = a ^ b
+                x |= x >> 1
+                x |= x >> 2
+                x &= _LOW
+                if how == "ignore":
+                    x &= _held(a)
+                    x &= _held(b)
+                elif how != "mismatch":
+                    raise ValueError(f"unknown null distance {how}")
+                np.add(dist, np.bitwise_count(x.view(np.uint64)), out=dist, where=free[None])
+            found, found_who = [near], [near_who]
+            for _ in range(min(k, dist.shape[1])):
+                pick = dist.argmin(axis=1)
+                found.append(dist[at, pick][:, None])
+                found_who.append(pick[:, None] + j)
+                dist[at, pick] = 255
+            found, found_who = np.concatenate(found, axis=1), np.concatenate(found_who, axis=1)
+            order = np.argsort(found, axis=1, kind="stable")[:, :k]
+            near[:], near_who[:] = np.take_along_axis(found, order, 1), np.take_along_axis(found_who, order, 1)
+    return best, who
+
+
 def _mode(codes: np.ndarray, weights: np.ndarray, k: int) -> int:
     before = np.cumsum(weights) - weights
     used = np.clip(k - before, 0, weights)
@@ -80,29 +125,25 @@ def knn_impute(packed: DataFrame, spec: FeatureSpec, k: int = 5, null_distance:
         d0, d1, dn = pool.value.T
         for pdf in frames:
             out0, out1 = pdf["c0"].to_numpy().copy(), pdf["c1"].to_numpy().copy()
-            for i in range(0, len(pdf), 256):
-                part = pdf.iloc[i : i + 256]
-                a, b = part["c0"].to_numpy(), part["c1"].to_numpy()
-                for g in part["sg"].unique():
-                    rows = np.flatnonzero(part["sg"].to_numpy() == g)
-                    dist = distances(a[rows], b[rows], d0, d1, null_distance, limits.get(int(g), default))
-                    for j in range(spec.n):
-                        shift = 4 * (j % PER_WORD)
-                        own, there = (a, d0) if j < PER_WORD else (b, d1)
-                        lacking = np.flatnonzero((own[rows] >> shift & 0xF) == 0)
-                        if not len(lacking):
-                            continue
-                        donor = np.flatnonzero(there >> shift & 0xF)
-                        if not len(donor):
-                            continue
-                        codes = (there[donor] >> shift & 0xF).astype(np.int64)
-                        most = min(len(donor), k)
-                        for r in lacking:
-                            d = dist[r, donor]
-                            near = np.flatnonzero(d <= np.partition(d, most - 1)[most - 1])  # donors are in cell order
-                            near = near[np.argsort(d[near], kind="stable")][: most]
-                            code = _mode(codes[near], dn[donor[near]], k)
-                            (out0 if j < PER_WORD else out1)[i + rows[r]] |= np.int64(code) << shift
+            c0, c1, sg = (pdf[c].to_numpy() for c in ("c0", "c1", "sg"))
+            for g in np.unique(sg):
+                w = limits.get(int(g), default)
+                done: dict[tuple, tuple] = {}
+                for j in range(spec.n):
+                    shift = 4 * (j % PER_WORD)
+                    own, there, out = (c0, d0, out0) if j < PER_WORD else (c1, d1, out1)
+                    rows = np.flatnonzero((sg == g) & (own >> shift & 0xF == 0))
+                    absent = there >> shift & 0xF == 0
+                    if not len(rows) or absent.all():
+                        continue
+                    key = (rows.tobytes(), absent.tobytes())
+                    if key not in done:  # receivers that agree within the limits have the same neighbours
+                        seen, back = np.unique(np.stack([c0[rows] & w[0], c1[rows] & w[1]]), axis=1, return_inverse=True)
+                        done[key] = (*nearest(seen[0], seen[1], d0, d1, null_distance, w, absent, k), back)
+                    dist, who, back = done[key]
+                    codes = (there[who] >> shift & 0xF).astype(np.int64)
+                    modes = np.array([_mode(codes[r][dist[r] < 255], dn[who[r][dist[r] < 255]], k) for r in range(len(dist))], np.int64)
+                    out[rows] |= modes[back] << shift
             yield pdf.assign(c0=out0, c1=out1)
 
     return cells.repartition("c0", "c1").mapInPandas(run, "sg int, c0 long, c1 long, y byte, n long")

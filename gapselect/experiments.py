@@ -7,7 +7,8 @@ stages end in an action on a small result; time is never part of a compared valu
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass, replace
+from concurrent.futures import ThreadPoolExecutor
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -35,13 +36,14 @@ class Problem:
     masked: DataFrame
     truth: DataFrame
     m: int
+    filled: dict[int, DataFrame] = field(default_factory=dict)
 
     @property
     def available(self) -> dict[int, int]:
         return sampling.available_of(self.missing, self.spec.n)
 
 
-def problem(spark: SparkSession, sf: str, name: str, p: float = 0.2, seed: int = 0, m: int = 3, n: int | None = None, groups: int | None = None, sharing: str = "blocks", truth: bool = True) -> Problem:
+def problem(spark: SparkSession, sf: str, name: str, p: float = 0.2, seed: int = 0, m: int = 3, n: int | None = None, groups: int | None = None, sharing: str = "auto", truth: bool = True) -> Problem:
     spec = SPECS[name] if n is None else SPECS[name].head(n)
     g = groups or GROUPS[name]
     packed = durable(pack(encode(view(spark, sf, name, groups), spec), spec))
@@ -50,23 +52,34 @@ def problem(spark: SparkSession, sf: str, name: str, p: float = 0.2, seed: int =
     return Problem(spec, g, missing, hide(packed, missing), full, m)
 
 
-def labels(pb: Problem, budget: float = 1.0, seed: int = 0, low: int = 1, high: int | None = None, sharing: str = "blocks", sampler: str = "walk") -> DataFrame:
-    """(sg, mask, mi) of the sampled computable sets."""
+def labels(pb: Problem, budget: float = 1.0, seed: int = 0, low: int = 1, high: int | None = None, sharing: str = "auto", sampler: str = "walk") -> DataFrame:
+    """(sg, mask, mi) of the sampled computable sets. The sample is drawn first, and only its sets are counted, each in its own subgroup;
+    sets that hold a feature their subgroup lacks are never counted."""
     high = high or pb.m
-    mi = info.computable(info.lattice_mi(pb.masked, pb.spec, band(pb.spec.n, low, high), sharing), pb.missing)
+    only = {g: band(pb.spec.n, low, high, a) for g, a in pb.available.items()}
     if budget < 1.0:
         spark = pb.masked.sparkSession
         if sampler == "walk":
             picked = sampling.walk_sample(spark, pb.available, budget, seed, low, high)
         else:
             picked = sampling.arbitrary_sample(sampling.universe(spark, pb.available, pb.spec.n, low, high), budget, seed)
-        mi = mi.join(picked.select("sg", "mask"), ["sg", "mask"], "left_semi")
-    return durable(mi.select("sg", "mask", "mi"))
+        only = {g: [] for g in only}
+        for r in picked.select("sg", "mask").collect():  # sets, not rows
+            only[r["sg"]].append(r["mask"])
+    only = {g: sorted(own) for g, own in only.items()}
+    masks = sorted(set().union(*only.values()))
+    return durable(info.lattice_mi(pb.masked, pb.spec, masks, sharing, only=only).select("sg", "mask", "mi"))
+
+
+def imputed(pb: Problem, k: int = 5) -> DataFrame:
+    """Cells of the masked view, filled from nearest neighbours; made once per problem."""
+    if k not in pb.filled:
+        pb.filled[k] = durable(knn_impute(pb.masked, pb.spec, k))
+    return pb.filled[k]
 
 
 def knn_scores(pb: Problem, k: int = 5) -> DataFrame:
-    cells = durable(knn_impute(pb.masked, pb.spec, k))
-    return info.lattice_mi(cells, pb.spec, band(pb.spec.n, pb.m, pb.m))
+    return info.lattice_mi(imputed(pb, k), pb.spec, band(pb.spec.n, pb.m, pb.m))
 
 
 ALGORITHMS = ("model", "knn", "markov", "mlp", "ridge")
@@ -77,7 +90,7 @@ def ranking(pb: Problem, algorithm: str, k: int, seed: int = 0, budget: float =
     if algorithm == "knn":
         return topk.topk(knn_scores(pb), pb.m, k)
     if algorithm == "markov":
-        return markov_topk(pb.masked, pb.spec, pb.m, k)
+        return markov_topk(pb.masked, pb.spec, pb.m, k, first=imputed(pb))
     known = labels(pb, budget, seed) if known is None else known
     cfg = replace(cfg, seed=seed, level_max=cfg.level_max or pb.m)
     if algorithm == "model":
@@ -111,23 +124,39 @@ def score(pred: DataFrame, pb: Problem, ks=(5, 10)) -> list[tuple[int, float, fl
 _EFFECT = "view string, p double, seed int, algorithm string, k int, ndcg double, precision double"
 
 
+#: Runs whose jobs share the cluster; each is a chain of small jobs on sets.
+AT_ONCE = 4
+
+
+def _together(f, runs: list) -> list:
+    with ThreadPoolExecutor(AT_ONCE) as pool:
+        return list(pool.map(lambda r: f(*r), runs))
+
+
 def effectiveness(spark, sf, views, algorithms=ALGORITHMS, p: float = 0.2, seeds=(0,), m: int = 3, budget: float = 1.0, cfg: GnnConfig = SMALL, n: int | None = None) -> DataFrame:
-    rows = []
-    for name in views:
-        for seed in seeds:
-            pb = problem(spark, sf, name, p, seed, m, n)
-            known = labels(pb, budget, seed)
-            for a in algorithms:
-                rows += [(name, p, seed, a, *r) for r in score(ranking(pb, a, 10, seed, budget, cfg, known), pb)]
+    def one(name, seed):
+        pb = problem(spark, sf, name, p, seed, m, n)
+        known = labels(pb, budget, seed)
+        return [(name, p, seed, a, *r) for a in algorithms for r in score(ranking(pb, a, 10, seed, budget, cfg, known), pb)]
+
+    rows = sum(_together(one, [(name, seed) for name in views for seed in seeds]), [])
     return spark.createDataFrame(rows, _EFFECT)
 
 
+def summary(runs: DataFrame) -> DataFrame:
+    """(view, algorithm, k, measure, mean, stddev, runs) over seeds."""
+    longer = runs.unpivot(["view", "algorithm", "k", "seed"], ["ndcg", "precision"], "measure", "value")
+    return longer.groupBy("view", "algorithm", "k", "measure").agg(F.avg("value").alias("mean"), F.stddev_samp("value").alias("stddev"), F.count(F.lit(1)).alias("runs"))
+
+
 def robustness(spark, sf, views, rates=(0.2, 0.3, 0.4, 0.5), algorithms=("model", "knn"), cfg: GnnConfig = SMALL, n: int | None = None) -> DataFrame:
     """(view, algorithm, k, measure, delta, skipped): mean relative drop along p."""
+    def one(name, p):
+        return effectiveness(spark, sf, (name,), algorithms, p, cfg=cfg, n=n)
+
     runs = None
-    for p in rates:
-        one = effectiveness(spark, sf, views, algorithms, p, cfg=cfg, n=n)
-        runs = one if runs is None else runs.unionByName(one)
+    for part in _together(one, [(name, p) for name in views for p in rates]):
+        runs = part if runs is None else runs.unionByName(part)
     longer = runs.unpivot(["view", "algorithm", "k", "p"], ["ndcg", "precision"], "measure", "value")
     return topk.relative_drop(longer, ["view", "algorithm", "k", "measure"])
 
@@ -135,34 +164,41 @@ def robustness(spark, sf, views, rates=(0.2, 0.3, 0.4, 0.5), algorithms=("model"
 def sampling_distance(spark, sf, views, budgets=(0.25, 0.5, 0.75, 1.0), seeds=(0, 1, 2), n: int | None = None, high: int = 3) -> DataFrame:
     """L1 distances of sampled to population MI, of walk and uniform draws. The population
     is every set of the band on the complete view, as well as the computable sets alone."""
-    rows = []
-    for name in views:
+    def one(name):
         pb = problem(spark, sf, name, n=n, m=high, truth=False)
         spec = pb.spec
         full = pack(encode(view(spark, sf, name), spec), spec)
-        every = durable(info.lattice_mi(full, spec, band(spec.n, 1, high), "blocks"))
-        can = durable(info.computable(every, pb.missing))
+        every = durable(info.lattice_mi(durable(full), spec, band(spec.n, 1, high)).select("sg", "mask", "mi"))
+        can = info.computable(every, pb.missing)
+        picked = None
         for b in budgets:
             for seed in seeds:
-                for how in ("walk", "arbitrary"):
-                    if how == "walk":
-                        picked = sampling.walk_sample(spark, pb.available, b, seed, 1, high).select("sg", "mask")
-                    else:
-                        picked = sampling.arbitrary_sample(sampling.universe(spark, pb.available, spec.n, 1, high), b, seed)
-                    sample = every.join(picked, ["sg", "mask"], "left_semi")
-                    for what, population in (("all", every), ("computable", can)):
-                        rows.append((name, b, seed, how, what, float(topk.tv_l1(sample, population).agg(F.avg("tv")).first()[0])))
+                walked = sampling.walk_sample(spark, pb.available, b, seed, 1, high).select("sg", "mask", F.lit("walk").alias("sampler"))
+                drawn = sampling.arbitrary_sample(sampling.universe(spark, pb.available, spec.n, 1, high), b, seed).select("sg", "mask", F.lit("arbitrary").alias("sampler"))
+                some = walked.unionByName(drawn).withColumns({"budget": F.lit(float(b)), "seed": F.lit(seed)})
+                picked = some if picked is None else picked.unionByName(some)
+        by = ("budget", "seed", "sampler")
+        sample = durable(picked.join(every, ["sg", "mask"]))
+        out = []
+        for what, population in (("all", every), ("computable", can)):
+            means = topk.tv_l1(sample, population, by=by).groupBy(*by).agg(F.avg("tv").alias("tv"))
+            out += [(name, r["budget"], r["seed"], r["sampler"], what, r["tv"]) for r in means.collect()]
+        return out
+
+    rows = sum(_together(one, [(name,) for name in views]), [])
     return spark.createDataFrame(rows, "view string, budget double, seed int, sampler string, population string, tv double")
 
 
 def closure(spark, sf, views, p: float = 0.2, seed: int = 0, high: int = 4, n: int | None = None, cfg: GnnConfig = SMALL) -> DataFrame:
     """Share of edges on which predictions keep upward closure, per upper level."""
-    out = None
-    for name in views:
+    def one(name):
         pb = problem(spark, sf, name, p, seed, 3, n, truth=False)
-        pred = fit_all(labels(pb, 1.0, seed, 1, high), pb.spec.n, pb.groups, replace(cfg, seed=seed, level_max=high))
-        one = topk.closure_accuracy(durable(pred), pb.spec.n).groupBy("level").agg((F.sum(F.col("accuracy") * F.col("edges")) / F.sum("edges")).alias("accuracy")).withColumn("view", F.lit(name))
-        out = one if out is None else out.unionByName(one)
+        pred = durable(fit_all(labels(pb, 1.0, seed, 1, high), pb.spec.n, pb.groups, replace(cfg, seed=seed, level_max=high)))
+        return topk.closure_accuracy(pred, pb.spec.n).groupBy("level").agg((F.sum(F.col("accuracy") * F.col("edges")) / F.sum("edges")).alias("accuracy")).withColumn("view", F.lit(name))
+
+    out = None
+    for part in _together(one, [(name,) for name in views]):
+        out = part if out is None else out.unionByName(part)
     return out.select("view", "level", "accuracy")
 
 

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from gapselect.functions.numbers import clogc
 from gapselect.plans.durable import durable
-from gapselect.plans.sharing import covering_blocks
+from gapselect.plans.sharing import covering_blocks, plan_sharing
 from gapselect.spec import FeatureSpec, widen
 
 _KEYS = ["sg", "mask", "k0", "k1"]
@@ -39,16 +39,30 @@ def base_cuboid(packed: DataFrame, q: int) -> DataFrame:
     return weighted.groupBy("sg", "c0", "c1").agg(*_by_state(q))
 
 
+def _zipped(masks: list[int]) -> Column:
+    return F.arrays_zip(F.lit(masks).alias("m"), F.lit([widen(m)[0] for m in masks]).alias("w0"), F.lit([widen(m)[1] for m in masks]).alias("w1"))
+
+
 def _masks_column(masks: list[int]) -> Column:
-    return F.explode(F.arrays_zip(F.lit(masks).alias("m"), F.lit([widen(m)[0] for m in masks]).alias("w0"), F.lit([widen(m)[1] for m in masks]).alias("w1")))
+    return F.explode(_zipped(masks))
 
 
-def expand(cells: DataFrame, masks: list[int], q: int) -> DataFrame:
-    """Counts of every set's own cells from cells of supersets."""
+def expand(cells: DataFrame, masks: list[int], q: int, only: dict[int, list[int]] | None = None) -> DataFrame:
+    """Counts of every set's own cells from cells of supersets; with ``only`` the sets of
+    each subgroup."""
     counts = [f"n{s}" for s in range(1, q + 1)]
     parts = []
     for i in range(0, len(masks), CHUNK):
-        wide = cells.select("sg", "c0", "c1", *counts, _masks_column(masks[i : i + CHUNK]).alias("w"))
+        some = masks[i : i + CHUNK]
+        if only is None:
+            wide = cells.select("sg", "c0", "c1", *counts, _masks_column(some).alias("w"))
+        else:
+            here, each = set(some), F.lit(None)
+            for g, own in only.items():
+                own = [m for m in own if m in here]
+                if own:
+                    each = F.when(F.col("sg") == g, _zipped(own)).otherwise(each)
+            wide = cells.select("sg", "c0", "c1", *counts, F.explode(each).alias("w"))
         keyed = wide.select("sg", F.col("w.m").alias("mask"), F.col("c0").bitwiseAND(F.col("w.w0")).alias("k0"), F.col("c1").bitwiseAND(F.col("w.w1")).alias("k1"), *counts)
         parts.append(keyed.groupBy(*_KEYS).agg(*_resum(q)))
     out = parts[0]
@@ -60,28 +74,47 @@ def expand(cells: DataFrame, masks: list[int], q: int) -> DataFrame:
 def counts_unshared(packed: DataFrame, masks: list[int], q: int) -> DataFrame:
     """Nothing shared: one pass over the rows for every set."""
     out = None
+    weight = F.col("n") if "n" in packed.columns else F.lit(1).cast("long")
     for m in masks:
         w0, w1 = widen(m)
-        one = packed.select("sg", F.lit(m).alias("mask"), F.col("c0").bitwiseAND(F.lit(w0)).alias("k0"), F.col("c1").bitwiseAND(F.lit(w1)).alias("k1"), "y", F.lit(1).cast("long").alias("n"))
+        one = packed.select("sg", F.lit(m).alias("mask"), F.col("c0").bitwiseAND(F.lit(w0)).alias("k0"), F.col("c1").bitwiseAND(F.lit(w1)).alias("k1"), "y", weight.alias("n"))
         one = one.groupBy(*_KEYS).agg(*_by_state(q))
         out = one if out is None else out.unionByName(one)
     return out
 
 
-def counts_cuboid(packed: DataFrame, masks: list[int], q: int) -> DataFrame:
-    return expand(base_cuboid(packed, q), masks, q)
+def counts_cuboid(packed: DataFrame, masks: list[int], q: int, only: dict[int, list[int]] | None = None) -> DataFrame:
+    return expand(base_cuboid(packed, q), masks, q, only)
 
 
-def counts_blocks(packed: DataFrame, masks: list[int], q: int, n: int, block_size: int = 6) -> DataFrame:
+def counts_blocks(packed: DataFrame, masks: list[int], q: int, n: int, block_size: int = 6, only: dict[int, list[int]] | None = None) -> DataFrame:
     """Features in overlapping blocks so that every set lies in one; each block has a
-    cuboid of bounded size, so the shuffle does not grow with the rows."""
-    blocks = covering_blocks(n, masks, block_size)
-    rows = packed.select("sg", "y", "c0", "c1", F.lit(1).cast("long").alias("n"), _masks_column([b for b, _ in blocks]).alias("w"))
+    cuboid of bounded size, so the shuffle does not grow with the rows. With ``only``
+    each subgroup has blocks for its own sets."""
+    weight = F.col("n") if "n" in packed.columns else F.lit(1).cast("long")
+    if only is None:
+        blocks, which = covering_blocks(n, masks, block_size), None
+    else:
+        blocks, by, which = [], [], F.lit(None)
+        for g, own in only.items():
+            some = covering_blocks(n, own, block_size)
+            blocks += [b for b in some if b not in blocks]
+            by.append((g, some))
+            if some:
+                which = F.when(F.col("sg") == g, _zipped([b for b, _ in some])).otherwise(which)
+    rows = packed.select("sg", "y", "c0", "c1", weight.alias("n"), (_masks_column([b for b, _ in blocks]) if which is None else F.explode(which)).alias("w"))
     cells = rows.select("sg", "y", "n", F.col("w.m").alias("block"), F.col("c0").bitwiseAND(F.col("w.w0")).alias("c0"), F.col("c1").bitwiseAND(F.col("w.w1")).alias("c1"))
     cells = cells.groupBy("sg", "block", "c0", "c1").agg(*_by_state(q))
     inside = F.lit(None)
-    for b, own in blocks:
-        inside = F.when(F.col("block") == b, F.lit(own)).otherwise(inside)
+    if only is None:
+        for b, own in blocks:
+            inside = F.when(F.col("block") == b, F.lit(own)).otherwise(inside)
+    else:
+        for g, some in by:
+            there = F.lit(None)
+            for b, own in some:
+                there = F.when(F.col("block") == b, F.lit(own)).otherwise(there)
+            inside = F.when(F.col("sg") == g, there).otherwise(inside) if some else inside
     widths = F.lit([widen(1 << j)[k] for k in (0, 1) for j in range(30)])  # nibble masks of single bits
     counts = [f"n{s}" for s in range(1, q + 1)]
     sets = cells.withColumn("mask", F.explode(inside))
@@ -141,7 +174,8 @@ def counts_grouping_sets(packed: DataFrame, masks: list[int], q: int, spec: Feat
         chunk = masks[i : i + 64]
         cols = [F.col(f) for f in spec.features]
         sets = [[F.col("sg"), *[cols[j] for j in range(spec.n) if m >> j & 1]] for m in chunk]
-        out = rows.withColumn("n", F.lit(1).cast("long")).groupingSets(sets, F.col("sg"), *cols).agg(F.grouping_id().alias("gid"), *_by_state(q))
+        weighted = rows if "n" in rows.columns else rows.withColumn("n", F.lit(1).cast("long"))
+        out = weighted.groupingSets(sets, F.col("sg"), *cols).agg(F.grouping_id().alias("gid"), *_by_state(q))
         # grouping_id: one bit per column, first column highest, set where it is rolled away
         mask = F.lit(0).cast("long")
         for j in range(spec.n):
@@ -195,25 +229,37 @@ def mi_from(built: DataFrame, estimator: str = "plugin", log_base: str = "2") ->
     return built.select("sg", F.col("mask").cast("long").alias("mask"), F.bit_count("mask").cast("int").alias("level"), value.alias("mi"), "n")
 
 
-def lattice_counts(packed: DataFrame, spec: FeatureSpec, masks: list[int], sharing: str = "cuboid", block_size: int | None = None, q: int | None = None) -> tuple[DataFrame, int]:
+def lattice_counts(packed: DataFrame, spec: FeatureSpec, masks: list[int], sharing: str = "auto", block_size: int | None = None, q: int | None = None, only: dict[int, list[int]] | None = None) -> tuple[DataFrame, int]:
+    """Counts of every set's cells. ``auto`` lets :func:`plan_sharing` choose, by the pass
+    that also finds the number of target states. ``only`` (sets of each subgroup) restricts
+    what is counted."""
+    if sharing == "auto":
+        plan = plan_sharing(packed, masks, spec.n)
+        sharing, q = plan["sharing"], q or plan["n_states"]
     q = q or states(packed)
+    if only is not None and sharing not in ("cuboid", "blocks"):
+        counts, _ = lattice_counts(packed, spec, masks, sharing, block_size, q)
+        wanted = F.lit(False)
+        for g, own in only.items():
+            wanted = F.when(F.col("sg") == g, F.col("mask").isin(own)).otherwise(wanted)
+        return counts.filter(wanted), q
     if sharing == "none":
         return counts_unshared(packed, masks, q), q
     if sharing == "cuboid":
-        return counts_cuboid(packed, masks, q), q
+        return counts_cuboid(packed, masks, q, only), q
     if sharing == "rollup":
         return counts_rollup(packed, masks, q, spec.n), q
     if sharing == "blocks":
         deepest = max(m.bit_count() for m in masks)
         size = block_size or {1: 2, 2: 4}.get(deepest, 6)  # small sets fill small cuboids, which stay in a task's memory
-        return counts_blocks(packed, masks, q, spec.n, max(size, deepest)), q
+        return counts_blocks(packed, masks, q, spec.n, max(size, deepest), only), q
     if sharing == "grouping_sets":
         return counts_grouping_sets(packed, masks, q, spec), q
     raise ValueError(f"unknown sharing {sharing}")
 
 
-def lattice_mi(packed: DataFrame, spec: FeatureSpec, masks: list[int], sharing: str = "cuboid", estimator: str = "plugin", log_base: str = "2", null_policy: str = "category") -> DataFrame:
-    counts, q = lattice_counts(packed, spec, masks, sharing)
+def lattice_mi(packed: DataFrame, spec: FeatureSpec, masks: list[int], sharing: str = "auto", estimator: str = "plugin", log_base: str = "2", null_policy: str = "category", only: dict[int, list[int]] | None = None) -> DataFrame:
+    counts, q = lattice_counts(packed, spec, masks, sharing, only=only)
     return mi_from(constructs(counts, q, log_base, null_policy, spec.n), estimator, log_base)
 
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from gapselect.spec import MAX_STATES, PER_WORD, FeatureSpec, widen
@@ -74,18 +74,25 @@ def cap_categories(df: DataFrame, col: str, max_states: int = MAX_STATES, how: s
         return df.withColumn(f"{col}_cap", F.when(F.col(col).isNotNull(), F.when(code > 0, code).otherwise(len(top) + 1)))
     if how != "rank_bins":
         raise ValueError(f"unknown way {how}")
-    order = counts.select(col, F.dense_rank().over(Window.orderBy(col)).alias("r"))  # distinct values only
-    most = order.agg(F.max("r")).first()[0] or 1
-    bins = order.withColumn(f"{col}_cap", (F.floor((F.col("r") - 1) * min(max_states, most) / most) + 1).cast("int")).drop("r")
+    order = ranked(counts.select(col), [F.col(col)], "__r", "__n")
+    few = F.least(F.lit(max_states), F.col("__n"))
+    bins = order.select(col, (F.floor(F.col("__r") * few / F.col("__n")) + 1).cast("int").alias(f"{col}_cap"))
     return df.join(bins, col, "left")
 
 
+#: Values of a column that the sketch of its dictionary tracks.
+SKETCH = 160
+
+
 def dictionaries(df: DataFrame, cols: list[str]) -> dict[str, list]:
-    """Sorted distinct values of every column in one pass; more than nine raise."""
-    sets = df.agg(*[F.collect_set(c).alias(c) for c in cols]).first()
+    """Sorted distinct values of every column in one pass; more than nine raise. Values are
+    kept in a sketch of fixed size, exact while there are few, so a column of many values
+    fills neither a task nor the driver before it raises."""
+    tops = df.agg(*[F.expr(f"approx_top_k(`{c}`, {SKETCH}, {SKETCH})").alias(c) for c in cols]).first()
+    sets = {c: {x["item"] for x in tops[c] or () if x["item"] is not None} for c in cols}
     for c in cols:
         if len(sets[c]) > MAX_STATES:
-            raise ValueError(f"{c} has {len(sets[c])} states; bin it to {MAX_STATES} or fewer first")
+            raise ValueError(f"{c} has {len(sets[c])}{' or more' * (len(sets[c]) >= SKETCH)} states; bin it to {MAX_STATES} or fewer first")
     return {c: sorted(sets[c]) for c in cols}
 
 
@@ -145,7 +152,7 @@ def assign_subgroups(df: DataFrame, predicates: list[Column]) -> DataFrame:
 
 def assign_subgroups_by(df: DataFrame, cols: list[str]) -> DataFrame:
     """Adds ``sg``: dense rank of the combinations of grouping columns."""
-    combos = df.select(*cols).distinct().withColumn("sg", F.dense_rank().over(Window.orderBy(*cols)) - 1)
+    combos = ranked(df.select(*cols).distinct(), [F.col(c) for c in cols], "sg", "__n").select(*cols, F.col("sg").cast("int").alias("sg"))
     cond = reduce(lambda a, b: a & b, [df[c].eqNullSafe(combos[c]) for c in cols])
     return df.join(combos, cond, "left").select(df["*"], combos["sg"])
 

@@ -24,11 +24,12 @@ def bounded_topk(upper: DataFrame, scores_of, m: int, k: int) -> DataFrame:
     """Top-K with closure pruning: ``upper`` (sg, mask, bound) holds sets of ``m`` with the
     least MI of a counted superset; the ``k`` highest bounds are scored first, and only
     sets whose bound reaches the k-th score found are scored at all."""
+    upper = upper.withColumn("bound", F.round("bound", 9))  # as ranks are, so that a tie is never cut
     w = Window.partitionBy("sg").orderBy(F.desc("bound"), "mask")
     first = upper.withColumn("r", F.row_number().over(w)).filter(F.col("r") <= k)
     seen = scores_of(first.select("sg", "mask"))
     floor = seen.groupBy("sg").agg(F.min("mi").alias("floor"))
-    rest = upper.join(floor, "sg").filter(F.col("bound") >= F.col("floor")).select("sg", "mask")
+    rest = upper.join(floor, "sg").filter(F.col("bound") >= F.round("floor", 9)).select("sg", "mask")
     return topk(scores_of(rest), m, k)
 
 
@@ -45,22 +46,34 @@ def ndcg_at_k(pred: DataFrame, true: DataFrame, k: int) -> DataFrame:
     return hits.groupBy("sg").agg((gain / F.sum(1 / F.log2(F.col("ideal") + 1))).alias("value"))
 
 
-def histogram(scores: DataFrame, edges: DataFrame, bins: int = 20) -> DataFrame:
-    """(sg, bin, p): shares in equal widths of ``edges`` (sg, low, high)."""
-    x = scores.join(edges, "sg")
-    width = F.col("high") - F.col("low")
-    place = F.when(width > 0, F.least(F.floor((F.col("mi") - F.col("low")) * bins / width), F.lit(bins - 1))).otherwise(0).cast("int")
-    counts = x.groupBy("sg", place.alias("bin")).agg(F.count(F.lit(1)).alias("c"))
-    return counts.withColumn("p", F.col("c") / F.sum("c").over(Window.partitionBy("sg"))).select("sg", "bin", "p")
+def mi_range(scores: DataFrame, digits: int = 9) -> DataFrame:
+    """(sg, low, high) of scores rounded as ranks are: the order in which a sum was taken
+    must not make a range."""
+    x = F.round("mi", digits)
+    return scores.groupBy("sg").agg(F.min(x).alias("low"), F.max(x).alias("high"))
 
 
-def tv_l1(sample: DataFrame, population: DataFrame, bins: int = 20, half: bool = False) -> DataFrame:
-    """(sg, tv): L1 distance of the two histograms over the population's range."""
-    edges = population.groupBy("sg").agg(F.min("mi").alias("low"), F.max("mi").alias("high"))
-    a, b = histogram(sample, edges, bins), histogram(population, edges, bins)
-    both = a.withColumnRenamed("p", "ps").join(b.withColumnRenamed("p", "pp"), ["sg", "bin"], "full")
+def histogram(scores: DataFrame, edges: DataFrame, bins: int = 20, by: tuple[str, ...] = (), digits: int = 9) -> DataFrame:
+    """(by, sg, bin, p): shares in equal widths of ``edges`` (sg, low, high); a range below
+    the last digit is one bin."""
+    x = scores.join(edges, "sg")
+    width = F.round(F.col("high") - F.col("low"), digits)
+    share = F.round((F.round("mi", digits) - F.col("low")) * bins / width, 6)
+    place = F.when(width > 0, F.greatest(F.lit(0), F.least(F.floor(share), F.lit(bins - 1)))).otherwise(0).cast("int")
+    counts = x.groupBy(*by, "sg", place.alias("bin")).agg(F.count(F.lit(1)).alias("c"))
+    return counts.withColumn("p", F.col("c") / F.sum("c").over(Window.partitionBy(*by, "sg"))).select(*by, "sg", "bin", "p")
+
+
+def tv_l1(sample: DataFrame, population: DataFrame, bins: int = 20, half: bool = False, by: tuple[str, ...] = ()) -> DataFrame:
+    """(by, sg, tv): L1 distance of the two histograms over the population's range, for
+    every combination of the sample's columns ``by``."""
+    edges = mi_range(population)
+    a, b = histogram(sample, edges, bins, by), histogram(population, edges, bins)
+    keys = sample.select(*by, "sg").distinct()
+    b = keys.join(b, "sg") if by else b
+    both = a.withColumnRenamed("p", "ps").join(b.withColumnRenamed("p", "pp"), [*by, "sg", "bin"], "full")
     gap = F.sum(F.abs(F.coalesce("ps", F.lit(0.0)) - F.coalesce("pp", F.lit(0.0))))
-    return both.groupBy("sg").agg((gap / 2 if half else gap).alias("tv"))
+    return both.groupBy(*by, "sg").agg((gap / 2 if half else gap).alias("tv"))
 
 
 def relative_drop(values: DataFrame, by: list[str] = ()) -> DataFrame:
@@ -90,5 +103,14 @@ def test_masks(universe: DataFrame, sampled: DataFrame) -> DataFrame:
 
 
 def regression_error(pred: DataFrame, truth: DataFrame) -> DataFrame:
+    """(sg, mse, mae, corr, spearman): errors of predicted scores, their correlation, and
+    that of their ranks (the mean rank of ties)."""
     both = pred.select("sg", "mask", F.col("mi").alias("p")).join(truth.select("sg", "mask", F.col("mi").alias("t")), ["sg", "mask"])
-    return both.groupBy("sg").agg(F.avg((F.col("p") - F.col("t")) ** 2).alias("mse"), F.avg(F.abs(F.col("p") - F.col("t"))).alias("mae"), F.corr("p", "t").alias("corr"))
+
+    def place(c: str):
+        same = F.count(F.lit(1)).over(Window.partitionBy("sg", c))
+        return F.rank().over(Window.partitionBy("sg").orderBy(c)) + (same - 1) / 2
+
+    both = both.withColumns({"p": F.round("p", 9), "t": F.round("t", 9)}).withColumns({"rp": place("p"), "rt": place("t")})
+    gap = F.col("p") - F.col("t")
+    return both.groupBy("sg").agg(F.avg(gap**2).alias("mse"), F.avg(F.abs(gap)).alias("mae"), F.corr("p", "t").alias("corr"), F.corr("rp", "rt").alias("spearman"))

@@ -8,9 +8,12 @@ from pyspark.sql import DataFrame
 
 
 def durable(df: DataFrame) -> DataFrame:
-    """``df`` written once below ``spark.checkpoint.dir``; a temporary folder of this
-    machine stands in only where the session names none (tests)."""
+    """``df`` written once below ``spark.checkpoint.dir``. Where the session names none, a
+    ``local`` one gets a temporary folder of this machine; a cluster has to name one."""
     sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="shared-"))
+        found = sc.getConf().get("spark.checkpoint.dir")
+        if not found and not sc.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir is not set: name a folder that driver and executors share")
+        sc.setCheckpointDir(found or tempfile.mkdtemp(prefix="shared-"))
     return df.checkpoint(eager=True)

@@ -40,7 +40,7 @@ def covering_blocks(n: int, masks: list[int], size: int) -> list[tuple[int, list
 
 def plan_sharing(packed: DataFrame, masks: list[int], n: int) -> dict:
     """Which sharing to use and why: from rows, distinct cells (a sketch) and the sets."""
-    row = packed.agg(F.count(F.lit(1)).alias("rows"), F.approx_count_distinct(F.struct("sg", "c0", "c1")).alias("cells")).first()
+    row = packed.agg(F.count(F.lit(1)).alias("rows"), F.approx_count_distinct(F.struct("sg", "c0", "c1")).alias("cells"), F.max("y").alias("states")).first()
     deepest = max(m.bit_count() for m in masks)
     full = len(masks) >= (1 << n) - 1
     if full and deepest == n:
@@ -53,7 +53,7 @@ def plan_sharing(packed: DataFrame, masks: list[int], n: int) -> dict:
         choice, why = "grouping_sets", "few sets"
     else:
         choice, why = "cuboid", "large sets beyond blocks"
-    return {"sharing": choice, "why": why, "n_rows": row["rows"], "n_cells": row["cells"], "n_sets": len(masks)}
+    return {"sharing": choice, "why": why, "n_rows": row["rows"], "n_cells": row["cells"], "n_sets": len(masks), "n_states": row["states"] or 1}
 
 
 def block_count(n: int, level: int, size: int) -> int:

@@ -151,7 +151,7 @@ def join_cross_masks(spark, sf):
     return wide.groupBy("sg", "mask").agg(F.countDistinct(key).alias("n_cells"))
 
 
-@query(f"""WITH v AS (SELECT id, sg, type, size_bin, key_fifth, brand_bin FROM ({duck_view("v_device")}) WHERE id <= 400)
+@query(f"""WITH v AS (SELECT id, sg, type, size_bin, key_fifth, brand_bin FROM ({duck_view("v_device")}))
           SELECT a.id AS a, b.id AS b FROM v a JOIN v b ON a.sg = 0 AND b.sg = 1 AND (a.type <> b.type)::INT + (a.size_bin <> b.size_bin)::INT + (a.key_fifth <> b.key_fifth)::INT + (a.brand_bin <> b.brand_bin)::INT <= 1""")
 def join_theta_dist(spark, sf):
     """Pairs that differ in one of four features at most, across subgroups. Two pairs of

@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gapselect.operators.prep import encode, hide, pack
+from gapselect.plans.durable import durable
 from gapselect.spec import FeatureSpec, band
 from gapselect.views import SPECS, duck_view, view
 
@@ -33,7 +34,7 @@ def r6(x: Column | str) -> Column:
 def prepared(spark: SparkSession, sf_dir: str, name: str, n: int | None = None, groups: int | None = None, target: str = "y") -> tuple[DataFrame, FeatureSpec]:
     spec = SPECS[name] if n is None else SPECS[name].head(n)
     spec = FeatureSpec(spec.features, spec.group, target)
-    return pack(encode(view(spark, sf_dir, name, groups), spec), spec), spec
+    return durable(pack(encode(view(spark, sf_dir, name, groups), spec), spec)), spec
 
 
 def masked(packed: DataFrame, missing: dict[int, int]) -> DataFrame:

@@ -10,6 +10,8 @@ from gapselect.operators import lattice as lat
 from gapselect.operators import mi as info
 from gapselect.operators import prep, sampling, topk
 from gapselect.operators.missing import coin, detect_missing, null_profile, plant_missing
+from gapselect.operators.prep import encode, pack
+from gapselect.plans.durable import durable
 from gapselect.queries.base import (
     ORACLES, duck_hidden, duck_mi, duck_sets, duck_topk, lacking_sql, level, masked, prepared, query, r6, shown_topk,
 )
@@ -176,13 +178,22 @@ _mi_query("mi_single_device", "v_device", 1, 1)
 _mi_query("mi_pairs_credit", "v_credit", 2, 2)
 _mi_query("mi_triples_device", "v_device", 3, 3)
 for _s, _n in (("naive", "none"), ("grouping_sets", "grouping_sets"), ("cuboid", "cuboid"), ("rollup", "rollup"), ("blocks", "blocks")):
-    _mi_query(f"lmi_{_s}", "v_logic15", 1, 3, n=6 if _s == "naive" else 8, sharing=_n)
+    _mi_query(f"lmi_{_s}", "v_logic15", 1, 3, n=8, sharing=_n)
 _mi_query("lmi_rollup_credit", "v_credit", 1, 8, n=8, sharing="rollup")
 
-PATIENTS = [
-    (1, 25, "Asian", None, "Yes", "Over", "No", None, 1), (2, 30, "Asian", None, "No", "Normal", "No", None, 0), (3, 38, "Asian", None, "Yes", "Normal", "Yes", None, 1),
-    (4, 52, "Asian", "High", "No", "Over", "Yes", "High", 1), (5, 61, "Asian", "Normal", "No", "Normal", "No", "Normal", 0), (6, 47, "Asian", "High", "Yes", "Over", "No", "High", 1),
-]
+#: The worked example's columns family history and readmission: fixed values.
+FAMILY = ("Yes", "No", "Yes", "Yes", "No", "Yes", "Yes", "No", "Yes", "Yes", "Yes", "No")
+READMITTED = ("No", "Yes", "Yes", "Yes", "No", "Yes", "No", "No", "Yes", "Yes", "Yes", "No")
+_PATIENTS = ", ".join(f"('{f}', '{y}')" for f, y in zip(FAMILY, READMITTED))
+
+
+@query(f"""WITH t(f, y) AS (VALUES {_PATIENTS}), j AS (SELECT f, y, count(*) AS c FROM t GROUP BY f, y), n AS (SELECT count(*) AS n FROM t)
+          SELECT round(sum(c / n * log2(c * n / (cf * cy))), 6) AS mi_bits FROM (SELECT *, sum(c) OVER (PARTITION BY f) AS cf, sum(c) OVER (PARTITION BY y) AS cy FROM j), n""")
+def mi_worked_example(spark, sf):
+    """MI of family history and readmission over the twelve patients of the example."""
+    df = spark.createDataFrame([(0, f, y) for f, y in zip(FAMILY, READMITTED)], "sg int, f string, y string")
+    spec = FeatureSpec(("f",))
+    return info.lattice_mi(pack(encode(df, spec), spec), spec, [1]).select(F.round("mi", 6).alias("mi_bits"))
 
 
 @query("""WITH t(f, y, c) AS (VALUES (0, 0, 4), (0, 1, 2), (1, 0, 1), (1, 1, 5)), n AS (SELECT sum(c) AS n FROM t)
@@ -459,15 +470,14 @@ def _device_mi(spark, sf, masks=_TRIPLES):
     return info.lattice_mi(packed, spec, masks)
 
 
-_HIST = """e AS (SELECT sg, min(mi) AS lo, max(mi) AS hi FROM m GROUP BY sg)"""
-_BIN = "CAST(CASE WHEN hi > lo THEN least(floor((mi - lo) * 20 / (hi - lo)), 19) ELSE 0 END AS INTEGER)"
+_HIST = """e AS (SELECT sg, min(round(mi, 9)) AS lo, max(round(mi, 9)) AS hi FROM m GROUP BY sg)"""
+_BIN = "CAST(CASE WHEN round(hi - lo, 9) > 0 THEN greatest(0, least(floor(round((round(mi, 9) - lo) * 20 / round(hi - lo, 9), 6)), 19)) ELSE 0 END AS INTEGER)"
 
 
 @query(f"""WITH {duck_mi(duck_view("v_device"), DEVICE, _TRIPLES)}, {_HIST} SELECT sg, {_BIN} AS bin, round(count(*) / sum(count(*)) OVER (PARTITION BY sg), 6) AS p FROM m JOIN e USING (sg) GROUP BY sg, bin""")
 def smp_hist_population(spark, sf):
     mi = _device_mi(spark, sf)
-    edges = mi.groupBy("sg").agg(F.min("mi").alias("low"), F.max("mi").alias("high"))
-    return topk.histogram(mi, edges).select("sg", "bin", F.round("p", 6).alias("p"))
+    return topk.histogram(mi, topk.mi_range(mi)).select("sg", "bin", F.round("p", 6).alias("p"))
 
 
 def _tv_sql(sample: str) -> str:
@@ -565,7 +575,7 @@ def topk_bound_pruned(spark, sf):
 
 def _ranked_pair(spark, sf, view_name="v_device"):
     packed, spec = prepared(spark, sf, view_name)
-    mi = info.lattice_mi(packed, spec, _BOTH, "blocks" if view_name == "v_logic15" else "cuboid")
+    mi = durable(info.lattice_mi(packed, spec, _BOTH, "blocks" if view_name == "v_logic15" else "auto"))
     return topk.topk(_rule(mi), 3, 10), topk.topk(mi, 3, 10)
 
 
