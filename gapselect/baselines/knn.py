@@ -55,29 +55,28 @@ def distances(c0, c1, d0, d1, how: str, within: tuple[int, int]) -> np.ndarray:
     return out
 
 
-#: Donors and receivers compared at a time: their distances stay in a core's cache.
-TILE = (64, 8192)
-
-
-def nearest(c0, c1, d0, d1, how: str, within: tuple[int, int], absent: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-    """(distances, donors) of the ``k`` nearest donors that are not ``absent`` of every
-    receiver, in order of (distance, donor); 255 where there are fewer. Distances are bytes;
-    tile by tile the smallest is taken ``k`` times, the first of equal ones."""
-    best = np.full((len(c0), k), 255, np.uint8)
-    who = np.zeros((len(c0), k), np.int64)
-    words = [(c, d, np.int64(w)) for c, d, w in ((c0, d0, within[0]), (c1, d1, within[1])) if w]
+#: Receivers and donors compared at a time: their distances stay in a core's cache.
+TILE = (24, 8192)
+
+
+def nearest(c0, c1, d0, d1, how: str, within: tuple[int, int], absents: list[np.ndarray], k: int) -> list[tuple[np.ndarray, np.ndarray]]:
+    """For every set of ``absent`` donors (distances, donors) of the ``k`` nearest others of
+    each receiver, in order of (distance, donor); 255 where there are fewer. Distances are
+    bytes and made once; tile by tile the smallest is taken ``k`` times, the first of
+    equal ones."""
+    if how not in ("mismatch", "ignore"):
+        raise ValueError(f"unknown null distance {how}")
+    out = [(np.full((len(c0), k), 255, np.uint8), np.zeros((len(c0), k), np.int64)) for _ in absents]
+    words = [(c & np.int64(w), d & np.int64(w)) for c, d, w in ((c0, d0, within[0]), (c1, d1, within[1])) if w]
+    closed = [np.where(x, 255, 0).astype(np.uint8) for x in absents]
     for i in range(0, len(c0), TILE[0]):
         rows = slice(i, min(len(c0), i + TILE[0]))
-        near, near_who = best[rows], who[rows]
-        at = np.arange(len(near))
+        at = np.arange(rows.stop - i)
         for j in range(0, len(d0), TILE[1]):
             cols = slice(j, min(len(d0), j + TILE[1]))
-            dist = np.repeat(np.where(absent[cols], 255, 0).astype(np.uint8)[None], len(near), axis=0)
-            free = ~absent[cols]
-            if not free.any():
-                continue
-            for c, d, w in words:
-                a, b = c[rows, None] & w, d[None, cols] & w
+            total = np.zeros((len(at), cols.stop - j), np.uint8)
+            for c, d in words:
+                a, b = c[rows, None], d[None, cols]
                 x = a ^ b
                 x |= x >> 1
                 x |= x >> 2
@@ -85,19 +84,23 @@ def nearest(c0, c1, d0, d1, how: str, within: tuple[int, int], absent: np.ndarra
                 if how == "ignore":
                     x &= _held(a)
                     x &= _held(b)
-                elif how != "mismatch":
-                    raise ValueError(f"unknown null distance {how}")
-                np.add(dist, np.bitwise_count(x.view(np.uint64)), out=dist, where=free[None])
-            found, found_who = [near], [near_who]
-            for _ in range(min(k, dist.shape[1])):
-                pick = dist.argmin(axis=1)
-                found.append(dist[at, pick][:, None])
-                found_who.append(pick[:, None] + j)
-                dist[at, pick] = 255
-            found, found_who = np.concatenate(found, axis=1), np.concatenate(found_who, axis=1)
-            order = np.argsort(found, axis=1, kind="stable")[:, :k]
-            near[:], near_who[:] = np.take_along_axis(found, order, 1), np.take_along_axis(found_who, order, 1)
-    return best, who
+                total += np.bitwise_count(x.view(np.uint64))
+            for (best, who), shut in zip(out, closed):
+                dist = total | shut[None, cols]
+                found, found_who = [best[rows]], [who[rows]]
+                for _ in range(min(k, dist.shape[1])):
+                    pick = dist.argmin(axis=1)
+                    value = dist[at, pick]
+                    if (value >= found[0][:, -1]).all():  # nothing nearer than what is held
+                        break
+                    found.append(value[:, None])
+                    found_who.append(pick[:, None] + j)
+                    dist[at, pick] = 255
+                if len(found) > 1:
+                    found, found_who = np.concatenate(found, axis=1), np.concatenate(found_who, axis=1)
+                    order = np.argsort(found, axis=1, kind="stable")[:, :k]
+                    best[rows], who[rows] = np.take_along_axis(found, order, 1), np.take_along_axis(found_who, order, 1)
+    return out
 
 
 def _mode(codes: np.ndarray, weights: np.ndarray, k: int) -> int:
@@ -128,22 +131,23 @@ def knn_impute(packed: DataFrame, spec: FeatureSpec, k: int = 5, null_distance:
             c0, c1, sg = (pdf[c].to_numpy() for c in ("c0", "c1", "sg"))
             for g in np.unique(sg):
                 w = limits.get(int(g), default)
-                done: dict[tuple, tuple] = {}
+                groups: dict[bytes, tuple] = {}  # features that lack in the same rows
                 for j in range(spec.n):
                     shift = 4 * (j % PER_WORD)
-                    own, there, out = (c0, d0, out0) if j < PER_WORD else (c1, d1, out1)
+                    own, there = (c0, d0) if j < PER_WORD else (c1, d1)
                     rows = np.flatnonzero((sg == g) & (own >> shift & 0xF == 0))
                     absent = there >> shift & 0xF == 0
-                    if not len(rows) or absent.all():
-                        continue
-                    key = (rows.tobytes(), absent.tobytes())
-                    if key not in done:  # receivers that agree within the limits have the same neighbours
-                        seen, back = np.unique(np.stack([c0[rows] & w[0], c1[rows] & w[1]]), axis=1, return_inverse=True)
-                        done[key] = (*nearest(seen[0], seen[1], d0, d1, null_distance, w, absent, k), back)
-                    dist, who, back = done[key]
-                    codes = (there[who] >> shift & 0xF).astype(np.int64)
-                    modes = np.array([_mode(codes[r][dist[r] < 255], dn[who[r][dist[r] < 255]], k) for r in range(len(dist))], np.int64)
-                    out[rows] |= modes[back] << shift
+                    if len(rows) and not absent.all():
+                        groups.setdefault(rows.tobytes(), (rows, []))[1].append((j, absent))
+                for rows, features in groups.values():
+                    # Receivers that agree within the limits have the same neighbours.
+                    seen, back = np.unique(np.stack([c0[rows] & w[0], c1[rows] & w[1]]), axis=1, return_inverse=True)
+                    for (j, _), (dist, who) in zip(features, nearest(seen[0], seen[1], d0, d1, null_distance, w, [x for _, x in features], k)):
+                        shift = 4 * (j % PER_WORD)
+                        there, out = (d0, out0) if j < PER_WORD else (d1, out1)
+                        codes = (there[who] >> shift & 0xF).astype(np.int64)
+                        modes = np.array([_mode(codes[r][dist[r] < 255], dn[who[r][dist[r] < 255]], k) for r in range(len(dist))], np.int64)
+                        out[rows] |= modes[back] << shift
             yield pdf.assign(c0=out0, c1=out1)
 
     return cells.repartition("c0", "c1").mapInPandas(run, "sg int, c0 long, c1 long, y byte, n long")

@@ -258,8 +258,8 @@ def lattice_counts(packed: DataFrame, spec: FeatureSpec, masks: list[int], shari
     raise ValueError(f"unknown sharing {sharing}")
 
 
-def lattice_mi(packed: DataFrame, spec: FeatureSpec, masks: list[int], sharing: str = "auto", estimator: str = "plugin", log_base: str = "2", null_policy: str = "category", only: dict[int, list[int]] | None = None) -> DataFrame:
-    counts, q = lattice_counts(packed, spec, masks, sharing, only=only)
+def lattice_mi(packed: DataFrame, spec: FeatureSpec, masks: list[int], sharing: str = "auto", estimator: str = "plugin", log_base: str = "2", null_policy: str = "category", only: dict[int, list[int]] | None = None, q: int | None = None) -> DataFrame:
+    counts, q = lattice_counts(packed, spec, masks, sharing, q=q, only=only)
     return mi_from(constructs(counts, q, log_base, null_policy, spec.n), estimator, log_base)
 
 

@@ -115,7 +115,8 @@ def mb_grow_device(spark, sf):
     packed, spec = prepared(spark, sf, "v_device")
     sizes = {r["sg"]: r["count"] for r in packed.groupBy("sg").count().collect()}
     top = prep.unpack(packed, spec).agg(*[F.max(f).alias(f) for f in spec.features]).first()
-    found = grow_shrink(packed, spec, {f: top[f] for f in spec.features}, sizes, info.states(packed))
+    q = info.states(packed)
+    found = grow_shrink(durable(info.base_cuboid(packed, q)), spec, {f: top[f] for f in spec.features}, sizes, q)
     return spark.createDataFrame([(g, b, spec.names_of(b)) for g, b in sorted(found.items())], "sg int, mask long, features array<string>")
 
 
