@@ -61,5 +61,18 @@ def register(spark: SparkSession) -> None:
     """Temporary functions: SQL expressions stay in code generation, table functions do not."""
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION set_level(m BIGINT) RETURNS INT RETURN CAST(bit_count(m) AS INT)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION mask_part(m BIGINT, w BIGINT) RETURNS BIGINT RETURN m & w")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION set_of(m BIGINT, names ARRAY<STRING>) RETURNS ARRAY<STRING> RETURN filter(names, (x, i) -> (shiftright(m, i) & 1L) = 1L)")
+    spark.sql(
+        "CREATE OR REPLACE TEMPORARY FUNCTION mask_of(chosen ARRAY<STRING>, names ARRAY<STRING>) RETURNS BIGINT "
+        "RETURN aggregate(transform(names, (x, i) -> if(array_contains(chosen, x), shiftleft(1L, i), 0L)), 0L, (a, b) -> a | b)"
+    )
+    total = "aggregate(flatten(t), 0L, (a, x) -> a + x)"
+    part = "CAST(aggregate({}, 0D, (a, x) -> a + if(x > 0, x * log2(x), 0D)) AS DOUBLE)"
+    by_row = "transform(t, r -> aggregate(r, 0L, (a, x) -> a + x))"
+    by_column = "transform(sequence(0, size(t[0]) - 1), k -> aggregate(t, 0L, (a, r) -> a + r[k]))"
+    spark.sql(
+        "CREATE OR REPLACE TEMPORARY FUNCTION joint_mi(t ARRAY<ARRAY<BIGINT>>) RETURNS DOUBLE "
+        f"RETURN log2({total}) + ({part.format('flatten(t)')} - {part.format(by_row)} - {part.format(by_column)}) / {total}"
+    )
     spark.udtf.register("lattice_neighbours", udtf(Neighbours, returnType="neighbour: long, kind: string"))
     spark.udtf.register("lattice_nodes", udtf(Nodes, returnType="mask: long, level: int"))

@@ -91,6 +91,20 @@ def degree(level: Column, n: int, low: int = 1, high: int | None = None) -> Colu
     return down + up + side
 
 
+def neighbour_reduce(values: DataFrame, n: int, how: str = "mean", value: str = "value") -> DataFrame:
+    """(mask, out): sum, mean or max of a value over the inter and intra neighbours a set has
+    in ``values``: the reducer of a generic update. Neighbours of a node go out as rows, as
+    maxima cannot be taken back as sums are in :func:`neighbour_mean`."""
+    reduce = {"sum": F.sum, "mean": F.avg, "max": F.max}[how]
+    steps = F.sequence(F.lit(0), F.lit(n - 1))
+    at = F.col("mask")
+    one = F.transform(steps, lambda j: at.bitwiseXOR(_bit(j)))
+    two = F.flatten(F.transform(steps, lambda a: F.transform(F.filter(steps, lambda b: (at.bitwiseAND(_bit(a)) != 0) & (at.bitwiseAND(_bit(b)) == 0)), lambda b: at.bitwiseXOR(_bit(a)).bitwiseXOR(_bit(b)))))
+    to = F.explode(F.concat(one, F.when(F.bit_count(at) > 1, two).otherwise(F.array().cast("array<bigint>"))))
+    sent = values.select(to.alias("to"), F.col(value).cast("double").alias("v")).groupBy(F.col("to").alias("mask")).agg(reduce("v").alias("out"))
+    return values.select("mask").join(sent, "mask")
+
+
 def neighbour_mean(values: DataFrame, n: int, value: str = "value") -> DataFrame:
     """(mask, mean of the value over inter and intra neighbours) of the full lattice.
 

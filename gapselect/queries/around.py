@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from gapselect.operators import joins
 from gapselect.operators import mi as info
 from gapselect.queries.base import duck_hidden, duck_mi, level, prepared, query, r6
-from gapselect.queries.methods import _AV, _BIN, _HIST, _TRIPLES, PLANTED, _device_mi, _hidden_rows
+from gapselect.queries.methods import _AV, _BIN, _HIST, _TRIPLES, FAMILY, PLANTED, READMITTED, _device_mi, _hidden_rows, _walk_values
 from gapselect.sources import formats
 from gapselect.sources.tables import sql, table
 from gapselect.views import DEVICE, STAFF, duck_view, view
@@ -129,7 +129,9 @@ def join_semi_avail(spark, sf):
     return nodes(spark, 15, 2, 2).select("mask").join(F.broadcast(a), F.col("mask").bitwiseAND(F.col("avail")) == F.col("mask"), "left_semi")
 
 
-@query()
+@query(f"""WITH n AS (SELECT CAST(r AS BIGINT) AS mask FROM (SELECT unnest(range(1, 32768)) AS r) WHERE bit_count(r) <= 3), g(sg) AS (VALUES {", ".join(f"({g})" for g in _AV)}),
+          w(sg, mask, step) AS (VALUES {_walk_values(0.25, 1, 3)})
+          SELECT CAST(g.sg AS INTEGER) AS sg, n.mask FROM g, n WHERE NOT EXISTS (SELECT 1 FROM w WHERE w.sg = g.sg AND w.mask = n.mask)""")
 def join_anti_unsampled(spark, sf):
     """Computable sets that were not sampled, and blocked ones."""
     from gapselect.operators import sampling
@@ -464,6 +466,25 @@ def udf_sql_mask(spark, sf):
     return spark.sql("SELECT id AS mask, set_level(id) AS level, mask_part(id, 3L) AS low_bits FROM range(1, 16)")
 
 
+@query("SELECT CAST(r AS BIGINT) AS mask, list_filter(['a', 'b', 'c', 'd'], lambda x, i: (r >> (i - 1)) & 1 = 1) AS names, CAST(r AS BIGINT) AS again FROM (SELECT unnest(range(1, 16)) AS r)")
+def udf_sql_sets(spark, sf):
+    from gapselect.functions.sql_functions import register
+
+    register(spark)
+    named = spark.sql("SELECT id AS mask, set_of(id, array('a', 'b', 'c', 'd')) AS names FROM range(1, 16)")
+    return named.selectExpr("mask", "names", "mask_of(names, array('a', 'b', 'c', 'd')) AS again")
+
+
+@query(f"""WITH t(f, y) AS (VALUES {", ".join(f"('{f}', '{y}')" for f, y in zip(FAMILY, READMITTED))}), j AS (SELECT f, y, count(*) AS c FROM t GROUP BY f, y), n AS (SELECT count(*) AS n FROM t)
+          SELECT round(sum(c / n * log2(c * n / (cf * cy))), 6) AS mi FROM (SELECT *, sum(c) OVER (PARTITION BY f) AS cf, sum(c) OVER (PARTITION BY y) AS cy FROM j), n""")
+def udf_sql_joint_mi(spark, sf):
+    """MI from a table of counts in SQL: the worked example."""
+    from gapselect.functions.sql_functions import register
+
+    register(spark)
+    return spark.sql("SELECT round(joint_mi(array(array(6L, 2L), array(1L, 3L))), 6) AS mi")
+
+
 _ENT = "SELECT l_linenumber, round(log2(sum(c)) - sum(c * log2(c)) / sum(c), 6) AS h FROM (SELECT l_linenumber, l_returnflag, count(*) AS c FROM lineitem GROUP BY ALL) GROUP BY l_linenumber"
 
 

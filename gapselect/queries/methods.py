@@ -367,6 +367,17 @@ def lat_neighbour_mean(spark, sf):
     return lat.neighbour_mean(values, 6).select("mask", "level", F.round("mean", 6).alias("mean"))
 
 
+def _reduce_query(how: str, sql: str) -> None:
+    @query(f"WITH {_N6}, {_EDGES6} SELECT m AS mask, round({sql}(CAST((o * 37) % 101 AS DOUBLE)), 6) AS out FROM e GROUP BY m", f"lat_neighbour_{how}")
+    def run(spark, sf):
+        values = lat.nodes(spark, 6).select("mask", ((F.col("mask") * 37) % 101).alias("value"))
+        return lat.neighbour_reduce(values, 6, how).select("mask", F.round("out", 6).alias("out"))
+
+
+_reduce_query("sum", "sum")
+_reduce_query("max", "max")
+
+
 @query(f"WITH {_N6}, {_EDGES6}, j AS (SELECT unnest(range(6)) AS j) SELECT m AS mask, CAST(j AS INTEGER) AS j, round(avg(CAST((o >> j) & 1 AS DOUBLE)), 6) AS mean FROM e, j GROUP BY m, j")
 def lat_encoding_mean(spark, sf):
     from gapselect.model.distributed import input_means
@@ -607,6 +618,27 @@ def msr_ndcg_logic15(spark, sf):
 query(ORACLES["smp_tv_arbitrary"], "msr_tv")(smp_tv_arbitrary)
 
 
+@query(f"""WITH {duck_mi(duck_view("v_device"), DEVICE[:6], level(6, 1, 6))}, b AS (SELECT sg, round(round(mi, 6) * (50 + (mask * 31) % 50), 9) AS p, round(mi, 9) AS t FROM m),
+          r AS (SELECT *, rank() OVER (PARTITION BY sg ORDER BY p) + (count(*) OVER (PARTITION BY sg, p) - 1) / 2 AS rp, rank() OVER (PARTITION BY sg ORDER BY t) + (count(*) OVER (PARTITION BY sg, t) - 1) / 2 AS rt FROM b)
+          SELECT sg, round(avg((p - t) ** 2), 4) AS mse, round(avg(abs(p - t)), 4) AS mae, round(corr(p, t), 4) AS corr, round(corr(rp, rt), 4) AS spearman FROM r GROUP BY sg""")
+def msr_regression_error(spark, sf):
+    packed, spec = prepared(spark, sf, "v_device", 6)
+    mi = durable(info.lattice_mi(packed, spec, level(6, 1, 6)))
+    pred = mi.select("sg", "mask", (F.round("mi", 6) * (50 + (F.col("mask") * 31) % 50)).alias("mi"))
+    return topk.regression_error(pred, mi).select("sg", *[F.round(c, 4).alias(c) for c in ("mse", "mae", "corr", "spearman")])
+
+
+@query("""WITH r(view, algorithm, k, seed, ndcg, precision) AS (VALUES ('a', 'x', 5, 0, 0.5, 0.4), ('a', 'x', 5, 1, 0.7, 0.6), ('a', 'x', 5, 2, 0.9, 0.2), ('a', 'y', 5, 0, 0.1, 0.0)),
+          l AS (SELECT view, algorithm, k, 'ndcg' AS measure, ndcg AS v FROM r UNION ALL SELECT view, algorithm, k, 'precision', precision FROM r)
+          SELECT view, algorithm, k, measure, round(avg(v), 6) AS mean, round(stddev_samp(v), 6) AS stddev, count(*) AS runs FROM l GROUP BY ALL""")
+def msr_seed_summary(spark, sf):
+    """Mean and deviation over seeds, as of the rows of the accuracy experiment."""
+    from gapselect.experiments import summary
+
+    runs = spark.createDataFrame([("a", "x", 5, 0, 0.5, 0.4), ("a", "x", 5, 1, 0.7, 0.6), ("a", "x", 5, 2, 0.9, 0.2), ("a", "y", 5, 0, 0.1, 0.0)], "view string, algorithm string, k int, seed int, ndcg double, precision double")
+    return summary(runs).withColumns({"mean": F.round("mean", 6), "stddev": F.round("stddev", 6)})
+
+
 @query("""WITH v(alg, p, value) AS (VALUES ('a', 0.2, 0.8), ('a', 0.3, 0.6), ('a', 0.4, 0.6), ('a', 0.5, 0.3), ('b', 0.2, 0.0), ('b', 0.3, 0.5), ('b', 0.4, 0.25), ('b', 0.5, 0.2)),
           l AS (SELECT *, lag(value) OVER (PARTITION BY alg ORDER BY p) AS b FROM v)
           SELECT alg, round(avg((b - value) / nullif(b, 0)), 6) AS delta, count(*) FILTER (b = 0) AS skipped FROM l WHERE b IS NOT NULL GROUP BY alg""")
