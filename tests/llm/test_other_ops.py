@@ -100,11 +100,14 @@ def test_attribution(spark, rule):
     want = sorted((i, len((t or "").split("\n")), len(ref.encode(t or "").ids)) for i, t in texts)
     assert sum(w[1] for w in want) == len(rows)
     assert sum(r.n_tokens for r in rows) == pytest.approx(sum(w[2] for w in want))
-    if rule == "start":
-        t = texts[0][1]
-        spans = ref.encode(t).offsets
-        for r in [r for r in rows if r.doc_id == 1]:
-            assert r.n_tokens == sum(r.start <= a < r.end for a, _ in spans)
+    for r in [r for r in rows if r.doc_id == 1]:  # ascii, and letters that are one token each
+        spans = ref.encode(texts[0][1]).offsets
+        share = {"start": lambda a, b: r.start <= a < r.end, "end": lambda a, b: r.start <= b - 1 < r.end, "split": lambda a, b: max(0, min(b, r.end) - max(a, r.start)) / max(1, b - a)}[rule]
+        assert r.n_tokens == pytest.approx(sum(share(a, b) for a, b in spans))
+    assert attribute_tokens(df.filter("doc_id < 0"), path, rule=rule).count() == 0
+    long = "a longer line of text\n" * 20_000
+    much = attribute_tokens(spark.createDataFrame([(1, long)], "doc_id long, text string"), path, rule=rule).collect()
+    assert len(much) == 20_001 and sum(r.n_tokens for r in much) == pytest.approx(len(ref.encode(long).ids))
 
 
 def test_attribution_fields(spark):
