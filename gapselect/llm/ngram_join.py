@@ -18,8 +18,9 @@ Sets that are equal are one node. A set that links to another shares at least
 
 Groups are not expanded into pairs. A few pivots per group are compared with all members
 (rows, not squares) and components follow, for large groups turn by turn with other pivots
-while that closes a good part of what is open. What is then still open is closed group by
-group: the members outside the group's largest component are the queries, all members,
+while that closes a good part of what is open. Of what is then still open, groups of up to
+``TREES`` members make each pair that can link once; larger ones are closed as a whole: the
+members outside the group's largest component are the queries, all members,
 their paths cut behind the group's shingle, are the tree, and only the links that join
 components come out.
 
@@ -53,6 +54,8 @@ WIDTH, PERCENT = 4, 85
 LARGE = 16
 #: Paths of a tree, queries of a tree, and members of a shingle's group, that go together.
 BLOCK = 128
+#: Members from which on the open rest of a group is compared in trees of the whole group.
+TREES = 1024
 #: Cells of the table of shingles by queries that a walk holds at once.
 _CELLS = 1 << 24
 #: Bits of the filter of sets that may link, by their number; beyond it more sets pass, which
@@ -393,6 +396,24 @@ def _open_pairs(group: DataFrame) -> tuple[int, int]:
     return tuple(sized.agg(F.coalesce(F.sum((F.col("all") - F.col("main")) * F.col("all")), F.lit(0)), F.coalesce(F.sum("all"), F.lit(0))).first())
 
 
+def _rest_pairs(group: DataFrame, ordered: DataFrame, percent: int) -> DataFrame:
+    """All pairs of a group that are not connected: of members outside the group's largest
+    component with every other member. A pair is made once, where its paths first meet from
+    the rare end: the steps behind this one, which are few, must have nothing in common."""
+    sized = group.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("m"), F.max("blocks").alias("blocks"))
+    top = sized.groupBy("token").agg(F.max(F.struct("m", "comp")).alias("top"), F.count(F.lit(1)).alias("k"), F.max("blocks").alias("blocks")).filter("k > 1")
+    low = F.ceil(percent * F.col("n") / 100).cast("int")
+    tails = ordered.select("node", F.slice("tokens", low, F.size("tokens")).alias("tail"))
+    placed = group.select("node", "n", "token", "left", "comp", "block", "blocks").join(tails, "node")
+    placed = written(placed.withColumn("behind", F.slice("tail", F.col("left") - low + 2, F.size("tail"))).drop("tail"))
+    out = placed.join(_blocks_of(top.select("token", F.col("top.comp").alias("main"), "blocks")), ["token", "block"]).filter("comp <> main")
+    x = out.drop("block").withColumn("block", F.expr("explode(sequence(0, blocks - 1))")).alias("x")
+    y = placed.alias("y")
+    new = (F.col("x.comp") != F.col("y.comp")) & _fits("x.", "y.", percent) & ~F.arrays_overlap("x.behind", "y.behind")
+    met = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.block") == F.col("y.block"))).filter(new)
+    return _once(met.select(F.col("y.node").alias("x"), F.col("x.node").alias("q")))
+
+
 def _rest_links(group: DataFrame, ordered: DataFrame, percent: int) -> DataFrame:
     """Links (a, b) that join components of a group: its members outside the largest one
     walk through the tree of all members. Where a pair links, the group of its last common
@@ -448,7 +469,12 @@ def _components_of(sets: DataFrame, percent: int, pivots: int, turns: int, most_
     low = F.ceil(percent * F.col("n") / 100).cast("int")
     steps = ordered.select("node", "n", low.alias("low"), F.posexplode(F.slice("tokens", low, F.size("tokens"))).alias("k", "token"))
     group = steps.select("node", "n", "token", (F.col("low") + F.col("k")).alias("left"))
-    several = written(group.groupBy("token").agg(F.count(F.lit(1)).alias("m")).filter("m > 1").selectExpr("token", f"int((m - 1) div {BLOCK} + 1) AS blocks"))
+    # Of groups with the same members only that of the last step is kept: their pairs meet
+    # there too, and their last common step is not before it. Sets are told apart by their
+    # size and two 64-bit sums.
+    members = [F.count(F.lit(1)).alias("m"), F.bit_xor(F.xxhash64("node")).alias("s0"), F.bit_xor(F.xxhash64("node", F.lit(1))).alias("s1")]
+    several = group.groupBy("token").agg(*members).filter("m > 1").groupBy("m", "s0", "s1").agg(F.max("token").alias("token"))
+    several = written(several.selectExpr("token", f"{_parts('m')} AS blocks"))
     group = written(group.join(several, "token").withColumn("block", F.expr("int(pmod(xxhash64(node), blocks))")).withColumn("comp", F.col("node")))
     if group.isEmpty():
         return None
@@ -477,7 +503,9 @@ def _components_of(sets: DataFrame, percent: int, pivots: int, turns: int, most_
         large = _still_open(large, links)
     if before is not None:
         group = _still_open(group, links)
-    rest = _rest_links(group, ordered, percent).select("a", "b")
+    # What is still open: few members make few pairs, which cost ids; large groups go as trees.
+    compare(_rest_pairs(group.filter(F.col("m") <= TREES), ordered, percent))
+    rest = _rest_links(group.filter(F.col("m") > TREES), ordered, percent).select("a", "b")
     return written(components_of_links(links.unionByName(rest)))
 
 

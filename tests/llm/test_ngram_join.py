@@ -95,6 +95,7 @@ def test_hot_group_in_blocks(spark, monkeypatch):
     from gapselect.llm import ngram_join
 
     monkeypatch.setattr(ngram_join, "BLOCK", 4)
+    monkeypatch.setattr(ngram_join, "TREES", 6)
     rows = corpus(13, 50)
     assert run(spark, rows) == brute(rows)
 
