@@ -29,6 +29,10 @@ def _checked(labels: DataFrame) -> list:
 
 def fit_all(labels: DataFrame, n: int, groups: int, cfg: GnnConfig) -> DataFrame:
     """(sg, mask, mi): predictions of every band node by its subgroup's own model."""
+    if cfg.label_channel == "none" and labels.limit(MOST_LABELS + 1).count() > MOST_LABELS:
+        from gapselect.model.distributed import fit_distributed
+
+        return fit_distributed(labels, n, groups, cfg)[0]
     by: dict[int, dict[int, float]] = defaultdict(dict)
     for r in _checked(labels):
         by[r["sg"]][r["mask"]] = r["mi"]

@@ -86,7 +86,7 @@ class MultiplexModel:
             new = np.zeros((self.groups, h.shape[1], self.cfg.hidden))
             saved = []
             for j in self._outputs(t):
-                a = self.band.mean(h[j])
+                a = self.band.mean(h[j]) if t or self.band.first is None else self.band.first
                 m = a @ self.params[f"in{t}"][j]
                 if self.cfg.cross:
                     for k in range(self.groups):

@@ -15,6 +15,8 @@ class Band:
     ``block * degree * width``.
     """
 
+    first = None  # neighbour means of the binary codes, where they are known beforehand
+
     def __init__(self, n: int, low: int, high: int, inter: bool = True, intra: bool = True, dense: int = 2500):
         self.n, self.masks = n, np.array(band(n, low, high), np.int64)
         at = {int(m): i for i, m in enumerate(self.masks)}

@@ -214,7 +214,7 @@ def gnn_distributed(spark, sf):
     from gapselect.model.distributed import fit_distributed
 
     pb = ex.problem(spark, sf, "v_device", truth=False)
-    pred, losses = fit_distributed(ex.labels(pb), pb.spec.n, 1, 3, hidden=8, epochs=8)
+    pred, losses = fit_distributed(ex.labels(pb), pb.spec.n, len(pb.missing), GnnConfig(hidden=8, epochs=8, rate=1e-2, level_max=3))
     if not losses[-1] < losses[0]:
         raise RuntimeError("the loss did not fall")
     return shown_topk(topk.topk(pred, 3, 10))

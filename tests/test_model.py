@@ -105,12 +105,37 @@ def test_fit_all_and_model_store(spark, tmp_path):
     assert all(np.allclose(back[k], v) for k, v in model.params.items())
 
 
-def test_distributed_loss_falls(spark):
-    from gapselect.model.distributed import fit_distributed
+def test_distributed_is_the_model_of_one_task(spark, monkeypatch):
+    from gapselect.model import distributed, fit
 
-    rows = [(g, m, v) for g, d in labels(5, 2).items() for m, v in d.items()]
-    out, losses = fit_distributed(spark.createDataFrame(rows, "sg int, mask long, mi double"), 5, 1, 3, hidden=6, epochs=6)
-    assert losses[-1] < losses[0] and out.count() == 2 * 25
+    known = labels(5, 3)
+    for m in (1, 3, 7, 28):
+        del known[0][m]
+    known[2] = {1: 0.5}
+    frame = spark.createDataFrame([(g, m, v) for g, d in known.items() for m, v in d.items()], "sg int, mask long, mi double")
+    cfg = GnnConfig(hidden=4, epochs=7, rate=1e-2, level_max=3)
+    monkeypatch.setattr(distributed, "BLOCK", 4)
+    out, losses = distributed.fit_distributed(frame, 5, 3, cfg)
+    got = {(r["sg"], r["mask"]): r["mi"] for r in out.collect()}
+    assert losses[-1] < losses[0] and len(got) == 3 * 25
+    for g in range(3):
+        masks, want = fit_predict(5, 3, g, known, cfg)
+        assert np.allclose([got[g, int(m)] for m in masks], want, atol=1e-4)
+    monkeypatch.setattr(fit, "MOST_LABELS", 10)
+    handed = {(r["sg"], r["mask"]): r["mi"] for r in fit_all(frame, 5, 3, cfg).collect()}
+    assert handed.keys() == got.keys() and all(abs(handed[k] - got[k]) < 1e-4 for k in got)
+
+
+def test_neighbourhood_means():
+    from gapselect.model.distributed import Neighbourhood
+
+    for inter, intra in ((True, True), (True, False), (False, True)):
+        whole, part = Band(7, 2, 4, inter, intra), Neighbourhood(np.array([3, 21, 85]), 1, 7, 2, 4, inter, intra)
+        at = [whole.at[int(m)] for m in part.masks]
+        assert np.allclose(part.first, whole.mean(whole.bits())[at], atol=1e-5) and np.allclose(part.degree, whole.degree[at])
+        h = np.random.default_rng(3).normal(size=(len(whole), 2))
+        for m in (3, 21, 85):
+            assert np.allclose(part.mean(h[at])[np.searchsorted(part.masks, m)], whole.mean(h)[whole.at[m]], atol=1e-5)
 
 
 def test_distances():
