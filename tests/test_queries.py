@@ -41,7 +41,7 @@ def test_twin(spark, sf, name):
             con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
         from gapselect.views import duck_view
 
-        assert con.sql(f"SELECT count(DISTINCT y) FROM ({duck_view('v_device')})").fetchone()[0] > 1
+        assert con.sql(f"SELECT count(DISTINCT y) FROM ({duck_view('v_device')})").fetchall()[0][0] > 1
     got, want = QUERIES[name](spark, sf).toPandas(), con.sql(ORACLES[name]).df()
     assert sorted(got.columns) == sorted(want.columns)
     assert rows(got) == rows(want)
