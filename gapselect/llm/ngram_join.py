@@ -333,6 +333,15 @@ def _fits(x: str, y: str, percent: int):
     return (100 + percent) * F.least(f"{x}left", f"{y}left") >= percent * (F.col(f"{x}n") + F.col(f"{y}n"))
 
 
+def _able_to_link(group: DataFrame, percent: int) -> DataFrame:
+    """Rows of groups without those that fit no other member. ``top`` is the largest size
+    that a path's rest can still link with; sizes of the group, and what its members reach,
+    bound it from both sides. A pair that links fits where it last meets, so it stays there."""
+    group = written(group.withColumn("top", F.expr(f"((100 + {percent}) * left - {percent} * n) div {percent}")))
+    ends = written(group.groupBy("token").agg(F.min("n").alias("least"), F.max("top").alias("most"), F.count(F.lit(1)).alias("m")).filter("m > 1 AND most >= least").drop("m"))
+    return group.join(ends, "token").filter("top >= least AND n <= most").drop("top", "least", "most")
+
+
 def components_of_links(links: DataFrame, per_task: int = 200_000) -> DataFrame:
     """(node, component) of the nodes of links (a, b). Tasks first join what they hold, at
     most about ``per_task`` links each, into stars; where more than one task was needed,
@@ -469,6 +478,7 @@ def _components_of(sets: DataFrame, percent: int, pivots: int, turns: int, most_
     low = F.ceil(percent * F.col("n") / 100).cast("int")
     steps = ordered.select("node", "n", low.alias("low"), F.posexplode(F.slice("tokens", low, F.size("tokens"))).alias("k", "token"))
     group = steps.select("node", "n", "token", (F.col("low") + F.col("k")).alias("left"))
+    group = _able_to_link(group, percent)
     # Of groups with the same members only that of the last step is kept: their pairs meet
     # there too, and their last common step is not before it. Sets are told apart by their
     # size and two 64-bit sums.

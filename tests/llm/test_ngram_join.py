@@ -137,3 +137,15 @@ def test_components(spark):
     got = {r.node: r.component for r in connected_components(spark.createDataFrame(edges, "u long, v long")).collect()}
     assert got == {1: 1, 2: 1, 3: 1, 4: 4, 5: 4, 7: 7, 8: 7, 9: 7, 10: 7} | {100 + i: 100 for i in range(41)}
     assert connected_components(spark.createDataFrame([], "u string, v string")).count() == 0
+
+
+def test_members_that_fit_no_other_leave_their_group(spark):
+    """Paths of 20 steps at 85 percent share 19 of them to link, so none can first meet at
+    step 17 or 18; one that is shorter can."""
+    from gapselect.llm.ngram_join import _able_to_link
+
+    rows = [(k, 20, t, left) for t, left in ((7, 17), (8, 18), (9, 19)) for k in range(50)] + [(50, 17, 8, 17), (51, 20, 10, 20)]
+    kept = _able_to_link(spark.createDataFrame(rows, "node long, n long, token long, left int"), 85)
+    assert set(kept.columns) == {"node", "n", "token", "left"}
+    counts = {r["token"]: r["count"] for r in kept.groupBy("token").count().collect()}
+    assert counts == {8: 51, 9: 50}
