@@ -149,3 +149,14 @@ def test_members_that_fit_no_other_leave_their_group(spark):
     assert set(kept.columns) == {"node", "n", "token", "left"}
     counts = {r["token"]: r["count"] for r in kept.groupBy("token").count().collect()}
     assert counts == {8: 51, 9: 50}
+
+
+def test_written_tables_are_broadcast_by_their_rows_not_their_files(spark):
+    from gapselect.llm.common import SENT_BYTES, written
+
+    rows = spark.range(60_000).selectExpr("id AS node", "sequence(1L, 50L) AS tokens")
+    large, small = written(rows), written(spark.range(100).withColumnRenamed("id", "node"))
+    plan = large.join(spark.range(1_000_000).withColumnRenamed("id", "node"), "node")
+    assert "Broadcast" not in plan._jdf.queryExecution().executedPlan().toString() and 60_000 * 50 * 8 > SENT_BYTES
+    assert "Broadcast" in small.join(spark.range(10_000_000).withColumnRenamed("id", "node"), "node")._jdf.queryExecution().executedPlan().toString()
+    assert large.count() == 60_000
