@@ -72,3 +72,12 @@ def test_entry_without_corpus_operators():
         "assert 'topk_exact_device' in e.queries() and not [q for q in e.queries() if q.startswith('op')]\n"
     )
     subprocess.run([sys.executable, "-c", code], cwd=root, check=True, timeout=100)
+
+
+@pytest.mark.parametrize("name", ["stream_dedupe", "stream_session", "stream_tumbling"])
+def test_stream_results_are_files(spark, sf, name):
+    got = QUERIES[name](spark, sf)
+    assert any("result-" in f for f in got.inputFiles())
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{sf}/events.parquet'")
+    assert rows(got.toPandas()) == rows(con.sql(ORACLES[name]).df())
