@@ -75,7 +75,7 @@ def test_entry_without_corpus_operators():
 
 
 #: Queries that made their data up before; now Spark reads a given table for them.
-READ_TABLES = "co_information_xor lat_cross_edges lat_degree".split()
+READ_TABLES = "co_information_xor join_self_xor lat_cross_edges lat_degree".split()
 
 
 @pytest.mark.parametrize("name", READ_TABLES)
