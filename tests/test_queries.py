@@ -75,7 +75,7 @@ def test_entry_without_corpus_operators():
 
 
 #: Queries that made their data up before; now Spark reads a given table for them.
-READ_TABLES = "co_information_xor cte_walk fn_array fn_bits join_anti_unsampled join_self_xor join_semi_avail lat_cross_edges lat_degree".split()
+READ_TABLES = "co_information_xor cte_walk fn_array fn_bits gnn_forward_fixed join_anti_unsampled join_self_xor join_semi_avail lat_cross_edges lat_degree".split()
 
 
 @pytest.mark.parametrize("name", READ_TABLES)
