@@ -43,17 +43,19 @@ def range_join(left: DataFrame, bins: DataFrame, value: str, low: str, high: str
 
 def near_pairs(left: DataFrame, right: DataFrame, parts: list[list[str]], key: str, most: int) -> DataFrame:
     """(a, b) of rows that differ in at most ``most`` columns, where ``parts`` splits the
-    columns into more than ``most`` groups: one group must agree, and is the join key."""
+    columns into more than ``most`` groups: one group must agree, and is the join key. The
+    first group that agrees makes the pair, so none comes twice and no pairs are exchanged."""
     if len(parts) <= most:
         raise ValueError("more parts than differences are needed")
     cols = [c for p in parts for c in p]
-    out = None
+    out, before = None, F.lit(False)
     for p in parts:
         a, b = left.alias("a"), right.alias("b")
         same = F.lit(True)
         for c in p:
             same = same & (F.col(f"a.{c}") == F.col(f"b.{c}"))
         gap = sum([F.when(F.col(f"a.{c}") != F.col(f"b.{c}"), 1).otherwise(0) for c in cols[1:]], F.when(F.col(f"a.{cols[0]}") != F.col(f"b.{cols[0]}"), 1).otherwise(0))
-        hit = a.join(b, same & (gap <= most)).select(F.col(f"a.{key}").alias("a"), F.col(f"b.{key}").alias("b"))
+        hit = a.join(b, same & (gap <= most) & ~before).select(F.col(f"a.{key}").alias("a"), F.col(f"b.{key}").alias("b"))
         out = hit if out is None else out.unionByName(hit)
-    return out.distinct()
+        before = before | F.coalesce(same, F.lit(False))
+    return out

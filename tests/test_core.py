@@ -275,3 +275,14 @@ def test_singles_mislead(spark, sf):
 
 def test_clogc(spark):
     assert spark.range(1).select(clogc(F.lit(0)), clogc(F.lit(8)), clogc(F.lit(1))).first()[:] == (0.0, 24.0, 0.0)
+
+
+def test_near_pairs_are_made_once_and_not_exchanged(spark):
+    from gapselect.operators.joins import near_pairs
+
+    rows = [(k, k % 2, k % 3 // 2, k % 5 // 3, k // 7 % 2) for k in range(60)]
+    left = spark.createDataFrame(rows, "id long, p int, q int, r int, s int")
+    out = near_pairs(left, left, [["p", "q"], ["r", "s"]], "id", 1)
+    want = sorted((x[0], y[0]) for x in rows for y in rows if sum(u != v for u, v in zip(x[1:], y[1:])) <= 1)
+    assert sorted(map(tuple, out.collect())) == want
+    assert "Aggregate" not in out._jdf.queryExecution().executedPlan().toString()
