@@ -45,7 +45,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gapselect.llm.common import as_text, distinct_ids, durable, numbered, release, written
+from gapselect.llm.common import as_text, counted, distinct_ids, durable, few, numbered, release, written
 from gapselect.llm.components import connected_components
 from gapselect.llm.shingles import mix, shingle_sets
 
@@ -56,6 +56,8 @@ LARGE = 16
 BLOCK = 128
 #: Members from which on the open rest of a group is compared in trees of the whole group.
 TREES = 1024
+#: Sets, pairs of them, and shingles that a task takes where there are few.
+TASK, TOKENS = 4000, 200_000
 #: Cells of the table of shingles by queries that a walk holds at once.
 _CELLS = 1 << 24
 #: Bits of the filter of sets that may link, by their number; beyond it more sets pass, which
@@ -319,12 +321,13 @@ def _parts(count) -> str:
 
 def _compare(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """(a, b, ok) of the pairs (a, b); b is the query, the sets of its a are its tree."""
-    pairs = written(pairs.select("a", "b"))
-    sizes = written(pairs.groupBy("b").agg(F.expr(_parts("count(1)")).alias("parts")))
+    pairs, rows = counted(pairs.select("a", "b"))
+    sizes = written(few(pairs.groupBy("b").agg(F.expr(_parts("count(1)")).alias("parts")), rows))
     dealt = pairs.join(sizes.filter("parts > 1"), "b", "left").withColumn("part", F.coalesce(F.expr("pmod(xxhash64(a), parts)"), F.lit(0)))
     paths = dealt.select(F.col("b").alias("tree"), "part", F.lit(1).alias("is_path"), F.col("a").alias("node"))
     queries = sizes.select(F.col("b").alias("tree"), F.expr("explode(sequence(0L, bigint(parts - 1)))").alias("part"), F.lit(0).alias("is_path"), F.col("b").alias("node"))
-    return _walked(queries.unionByName(paths).join(sets, "node").withColumn("comp", F.col("node")), percent, False)
+    trees = few(queries.unionByName(paths).join(sets, "node"), 2 * rows, TASK)
+    return few(_walked(trees.withColumn("comp", F.col("node")), percent, False), rows, TASK)
 
 
 def _fits(x: str, y: str, percent: int):
@@ -337,9 +340,10 @@ def _able_to_link(group: DataFrame, percent: int) -> DataFrame:
     """Rows of groups without those that fit no other member. ``top`` is the largest size
     that a path's rest can still link with; sizes of the group, and what its members reach,
     bound it from both sides. A pair that links fits where it last meets, so it stays there."""
-    group = written(group.withColumn("top", F.expr(f"((100 + {percent}) * left - {percent} * n) div {percent}")))
-    ends = written(group.groupBy("token").agg(F.min("n").alias("least"), F.max("top").alias("most"), F.count(F.lit(1)).alias("m")).filter("m > 1 AND most >= least").drop("m"))
-    return group.join(ends, "token").filter("top >= least AND n <= most").drop("top", "least", "most")
+    group, rows = counted(group.withColumn("top", F.expr(f"((100 + {percent}) * left - {percent} * n) div {percent}")))
+    ends = group.groupBy("token").agg(F.min("n").alias("least"), F.max("top").alias("most"), F.count(F.lit(1)).alias("m")).filter("m > 1 AND most >= least").drop("m")
+    ends = written(few(ends, rows))
+    return few(group.join(ends, "token").filter("top >= least AND n <= most").drop("top", "least", "most"), rows)
 
 
 def components_of_links(links: DataFrame, per_task: int = 200_000) -> DataFrame:
@@ -375,13 +379,15 @@ def _blocks_of(tokens: DataFrame) -> DataFrame:
     return tokens.withColumn("block", F.expr("explode(sequence(0, blocks - 1))")).drop("blocks")
 
 
-def _still_open(group: DataFrame, links: DataFrame) -> DataFrame:
+def _still_open(group: DataFrame, links: DataFrame, rows: int) -> DataFrame:
     """Rows of groups that hold more than one component, with components by ``links``.
     Groups of two are done once a pivot was compared with the other member."""
     label = components_of_links(links)
-    named = written(group.drop("comp", "m").join(label, "node", "left").withColumn("comp", F.coalesce("component", "node")).drop("component"))
+    named = group.drop("comp", "m").join(label, "node", "left").withColumn("comp", F.coalesce("component", "node"))
+    named = written(few(named.drop("component"), rows))
     several = named.groupBy("token").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1"), F.count(F.lit(1)).alias("m"), F.max("blocks").alias("blocks")).filter("c0 <> c1 AND m > 2")
-    return written(named.join(_blocks_of(several.select("token", "m", "blocks")), ["token", "block"]))
+    several = _blocks_of(few(several.select("token", "m", "blocks"), rows))
+    return written(few(named.join(several, ["token", "block"]), rows))
 
 
 def _once(met: DataFrame) -> DataFrame:
@@ -389,33 +395,33 @@ def _once(met: DataFrame) -> DataFrame:
     return met.groupBy(F.least("x", "q").alias("lo"), F.greatest("x", "q").alias("hi")).agg(F.min("q").alias("b")).select(F.expr("if(b = lo, hi, lo)").alias("a"), "b")
 
 
-def _pivot_pairs(group: DataFrame, turn: int, pivots: int, percent: int) -> DataFrame:
+def _pivot_pairs(group: DataFrame, turn: int, pivots: int, percent: int, rows: int) -> DataFrame:
     """Pairs of every member with its group's pivots, where not yet connected."""
     picks = [F.min(F.struct(F.xxhash64("node", F.lit(turn * pivots + k)).alias("h"), "node", "n", "left", "comp")).alias(f"p{k}") for k in range(pivots)]
     chosen = group.groupBy("token").agg(*picks, F.min("comp").alias("c0"), F.max("comp").alias("c1"), F.max("blocks").alias("blocks")).filter("c0 <> c1")
-    each = _blocks_of(chosen.select("token", "blocks", F.explode(F.array(*[f"p{k}" for k in range(pivots)])).alias("p")))
+    each = _blocks_of(few(chosen, rows).select("token", "blocks", F.explode(F.array(*[f"p{k}" for k in range(pivots)])).alias("p")))
     met = group.join(each, ["token", "block"]).filter((F.col("comp") != F.col("p.comp")) & _fits("", "p.", percent))
-    return _once(met.select(F.col("node").alias("x"), F.col("p.node").alias("q")))
+    return few(_once(few(met.select(F.col("node").alias("x"), F.col("p.node").alias("q")), pivots * rows)), pivots * rows)
 
 
-def _open_pairs(group: DataFrame) -> tuple[int, int]:
+def _open_pairs(group: DataFrame, rows: int) -> tuple[int, int]:
     """Pairs that the last stage would have to look at (members outside their group's
     largest component times the group), and rows."""
-    sized = group.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("k")).groupBy("token").agg(F.sum("k").alias("all"), F.max("k").alias("main"))
-    return tuple(sized.agg(F.coalesce(F.sum((F.col("all") - F.col("main")) * F.col("all")), F.lit(0)), F.coalesce(F.sum("all"), F.lit(0))).first())
+    sized = few(group.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("k")), rows).groupBy("token").agg(F.sum("k").alias("all"), F.max("k").alias("main"))
+    return tuple(few(sized, rows).agg(F.coalesce(F.sum((F.col("all") - F.col("main")) * F.col("all")), F.lit(0)), F.coalesce(F.sum("all"), F.lit(0))).first())
 
 
-def _rest_pairs(group: DataFrame, ordered: DataFrame, percent: int) -> DataFrame:
+def _rest_pairs(group: DataFrame, ordered: DataFrame, percent: int, rows: int) -> DataFrame:
     """All pairs of a group that are not connected: of members outside the group's largest
     component with every other member. A pair is made once, where its paths first meet from
     the rare end: the steps behind this one, which are few, must have nothing in common."""
-    sized = group.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("m"), F.max("blocks").alias("blocks"))
+    sized = few(group.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("m"), F.max("blocks").alias("blocks")), rows)
     top = sized.groupBy("token").agg(F.max(F.struct("m", "comp")).alias("top"), F.count(F.lit(1)).alias("k"), F.max("blocks").alias("blocks")).filter("k > 1")
     low = F.ceil(percent * F.col("n") / 100).cast("int")
     tails = ordered.select("node", F.slice("tokens", low, F.size("tokens")).alias("tail"))
     placed = group.select("node", "n", "token", "left", "comp", "block", "blocks").join(tails, "node")
-    placed = written(placed.withColumn("behind", F.slice("tail", F.col("left") - low + 2, F.size("tail"))).drop("tail"))
-    out = placed.join(_blocks_of(top.select("token", F.col("top.comp").alias("main"), "blocks")), ["token", "block"]).filter("comp <> main")
+    placed = written(few(placed.withColumn("behind", F.slice("tail", F.col("left") - low + 2, F.size("tail"))).drop("tail"), rows, TASK))
+    out = placed.join(_blocks_of(few(top, rows).select("token", F.col("top.comp").alias("main"), "blocks")), ["token", "block"]).filter("comp <> main")
     x = out.drop("block").withColumn("block", F.expr("explode(sequence(0, blocks - 1))")).alias("x")
     y = placed.alias("y")
     new = (F.col("x.comp") != F.col("y.comp")) & _fits("x.", "y.", percent) & ~F.arrays_overlap("x.behind", "y.behind")
@@ -423,14 +429,14 @@ def _rest_pairs(group: DataFrame, ordered: DataFrame, percent: int) -> DataFrame
     return _once(met.select(F.col("y.node").alias("x"), F.col("x.node").alias("q")))
 
 
-def _rest_links(group: DataFrame, ordered: DataFrame, percent: int) -> DataFrame:
+def _rest_links(group: DataFrame, ordered: DataFrame, percent: int, rows: int) -> DataFrame:
     """Links (a, b) that join components of a group: its members outside the largest one
     walk through the tree of all members. Where a pair links, the group of its last common
     step sees its whole overlap, so paths and queries are cut behind their group's step."""
-    sized = group.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("m"), F.max("blocks").alias("blocks"))
+    sized = few(group.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("m"), F.max("blocks").alias("blocks")), rows)
     top = sized.groupBy("token").agg(F.max(F.struct("m", "comp")).alias("top"), F.sum("m").alias("m"), F.count(F.lit(1)).alias("k"), F.max("blocks").alias("blocks")).filter("k > 1")
     top = _blocks_of(top.selectExpr("token", "top.comp AS main", f"{_parts('m - top.m')} AS parts", "blocks"))
-    open_rows = written(group.select("token", "block", "blocks", "node", "n", "left", "comp").join(top, ["token", "block"]))
+    open_rows = written(few(group.select("token", "block", "blocks", "node", "n", "left", "comp").join(top, ["token", "block"]), rows))
     queries = open_rows.filter("comp <> main").withColumn("own", F.expr("pmod(xxhash64(node, 1), parts)")).withColumn("block", F.expr("explode(sequence(0, blocks - 1))"))
     paths = open_rows.withColumn("own", F.expr("explode(sequence(0L, bigint(parts - 1)))"))
     cols = [F.col("token").alias("tree"), F.expr("block * bigint(parts) + own").alias("part"), "node", "n", "left", "comp"]
@@ -443,39 +449,41 @@ def link_components(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT,
     """doc_id, n_shingles, component_id: smallest doc_id reachable by links."""
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), as_text(text_col).alias("text"))
     rows = written(set_rows(texts, width).withColumn("row", F.monotonically_increasing_id()))
-    total = rows.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    nodes = written(rows.filter("key IS NOT NULL").groupBy("key", "mark").agg(F.min("row").alias("node"), F.min("doc_id").alias("least")))
+    total, texts_n = rows.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
+    nodes = written(few(rows.filter("key IS NOT NULL").groupBy("key", "mark").agg(F.min("row").alias("node"), F.min("doc_id").alias("least")), texts_n))
     known = nodes.select("key", "least")
-    able = written(_sieve(texts, total, width, percent))
+    able, many = counted(few(_sieve(texts, total, width, percent), texts_n))
     release(docs.sparkSession)
-    if many := able.count():
+    if many:
         found = _candidate_sets(texts, _filter_of(able, many), width).groupBy("key").agg(F.first("n").alias("n"), F.first("tokens").alias("tokens"))
-        sets = durable(found.join(nodes.join(able, "mark", "left_semi"), "key").select("node", "n", "tokens"))
+        sets = durable(few(found.join(few(nodes.join(able, "mark", "left_semi"), many), "key").select("node", "n", "tokens"), many, TASK))
         del found
         release(docs.sparkSession)
         label = _components_of(sets, percent, pivots, turns)
         if label is not None:
-            named = written(nodes.join(label, "node").select("key", "least", "component"))
-            first = written(named.groupBy("component").agg(F.min("least").alias("first")))
-            linked = written(named.join(first, "component").select("key", "first"))
-            known = written(nodes.join(linked, "key", "left").select("key", F.coalesce("first", "least").alias("least")))
-    out = rows.join(known, "key", "left")
+            named, linked_n = counted(few(nodes.join(label, "node").select("key", "least", "component"), many))
+            first = written(few(named.groupBy("component").agg(F.min("least").alias("first")), linked_n))
+            linked = written(few(named.join(first, "component").select("key", "first"), linked_n))
+            known = written(few(nodes.join(linked, "key", "left").select("key", F.coalesce("first", "least").alias("least")), texts_n))
+    out = few(rows.join(known, "key", "left"), texts_n)
     return out.select(F.col("doc_id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("least", "doc_id").alias("component_id"))
 
 
 def _components_of(sets: DataFrame, percent: int, pivots: int, turns: int, most_turns: int = 10) -> DataFrame | None:
     """(node, component) of the nodes that link; None if there are none."""
+    held, many = sets.agg(F.coalesce(F.sum(F.size("tokens")), F.lit(0)), F.count(F.lit(1))).first()
     every = sets.select("node", "n", F.explode("tokens").alias("token"))
-    common = every.groupBy("token").agg(F.count(F.lit(1)).alias("df")).filter("df > 1")
+    common = few(every.groupBy("token").agg(F.count(F.lit(1)).alias("df")).filter("df > 1"), held, TOKENS)
     # A shingle's number is its place in the one global order, frequent first.
     common = written(common.orderBy(F.desc("df"), "token").select("token", F.monotonically_increasing_id().alias("step")))
-    shared = every.join(common, "token").groupBy("node", "n").agg(F.sort_array(F.collect_list("step")).alias("tokens"))
+    shared = few(every.join(common, "token"), held, TOKENS).groupBy("node", "n").agg(F.sort_array(F.collect_list("step")).alias("tokens"))
     # ceil(percent * n / 100) shared shingles at least; the others of the set are in no other set
-    ordered = durable(shared.filter(100 * F.size("tokens") >= percent * F.col("n")).select("node", "n", "tokens"))
+    ordered = durable(few(shared.filter(100 * F.size("tokens") >= percent * F.col("n")).select("node", "n", "tokens"), many, TASK))
     del every, common, shared
     release(sets.sparkSession)
     # a step further than ceil(percent * n / 100) from the trunk is where a path may first meet another
     low = F.ceil(percent * F.col("n") / 100).cast("int")
+    held = ordered.agg(F.coalesce(F.sum(F.size("tokens") - low + 1), F.lit(0))).first()[0]
     steps = ordered.select("node", "n", low.alias("low"), F.posexplode(F.slice("tokens", low, F.size("tokens"))).alias("k", "token"))
     group = steps.select("node", "n", "token", (F.col("low") + F.col("k")).alias("left"))
     group = _able_to_link(group, percent)
@@ -483,39 +491,40 @@ def _components_of(sets: DataFrame, percent: int, pivots: int, turns: int, most_
     # there too, and their last common step is not before it. Sets are told apart by their
     # size and two 64-bit sums.
     members = [F.count(F.lit(1)).alias("m"), F.bit_xor(F.xxhash64("node")).alias("s0"), F.bit_xor(F.xxhash64("node", F.lit(1))).alias("s1")]
-    several = group.groupBy("token").agg(*members).filter("m > 1").groupBy("m", "s0", "s1").agg(F.max("token").alias("token"))
-    several = written(several.selectExpr("token", f"{_parts('m')} AS blocks"))
-    group = written(group.join(several, "token").withColumn("block", F.expr("int(pmod(xxhash64(node), blocks))")).withColumn("comp", F.col("node")))
-    if group.isEmpty():
+    several = few(group.groupBy("token").agg(*members).filter("m > 1"), held).groupBy("m", "s0", "s1").agg(F.max("token").alias("token"))
+    several = written(few(several, held).selectExpr("token", f"{_parts('m')} AS blocks"))
+    group, rows = counted(few(group.join(several, "token"), held).withColumn("block", F.expr("int(pmod(xxhash64(node), blocks))")).withColumn("comp", F.col("node")))
+    if not rows:
         return None
     tried, links = None, None
 
-    def compare(pairs: DataFrame) -> None:
+    def compare(pairs: DataFrame, most: int | None = None) -> None:
         nonlocal tried, links
         if tried is not None:
             pairs = pairs.join(tried, (F.least("a", "b") == F.col("lo")) & (F.greatest("a", "b") == F.col("hi")), "left_anti")
+            pairs = few(pairs, most) if most else pairs
         seen = written(_compare(pairs, ordered, percent))
         good, done = seen.filter("ok").select("a", "b"), seen.select(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi"))
         tried = done if tried is None else tried.unionByName(done)
         links = good if links is None else links.unionByName(good)
 
     for turn in range(turns):
-        compare(_pivot_pairs(group, turn, pivots, percent))
-        group = _still_open(group, links)
+        compare(_pivot_pairs(group, turn, pivots, percent, rows), pivots * rows)
+        group = _still_open(group, links, rows)
     # Large groups get more turns while that closes a tenth or more of what is open there.
     large, before = group.filter(F.col("m") > LARGE), None
     for turn in range(turns, most_turns):
-        now, rows = _open_pairs(large)
-        if 2 * now <= rows or before is not None and now > 0.9 * before:
+        now, left = _open_pairs(large, rows)
+        if 2 * now <= left or before is not None and now > 0.9 * before:
             break
         before = now
-        compare(_pivot_pairs(large, turn, 2 * pivots, percent))
-        large = _still_open(large, links)
+        compare(_pivot_pairs(large, turn, 2 * pivots, percent, rows), 2 * pivots * rows)
+        large = _still_open(large, links, rows)
     if before is not None:
-        group = _still_open(group, links)
+        group = _still_open(group, links, rows)
     # What is still open: few members make few pairs, which cost ids; large groups go as trees.
-    compare(_rest_pairs(group.filter(F.col("m") <= TREES), ordered, percent))
-    rest = _rest_links(group.filter(F.col("m") > TREES), ordered, percent).select("a", "b")
+    compare(_rest_pairs(group.filter(F.col("m") <= TREES), ordered, percent, rows))
+    rest = _rest_links(group.filter(F.col("m") > TREES), ordered, percent, rows).select("a", "b")
     return written(components_of_links(links.unionByName(rest)))
 
 

@@ -160,3 +160,20 @@ def test_written_tables_are_broadcast_by_their_rows_not_their_files(spark):
     assert "Broadcast" not in plan._jdf.queryExecution().executedPlan().toString() and 60_000 * 50 * 8 > SENT_BYTES
     assert "Broadcast" in small.join(spark.range(10_000_000).withColumnRenamed("id", "node"), "node")._jdf.queryExecution().executedPlan().toString()
     assert large.count() == 60_000
+
+
+def test_small_tables_go_in_few_tasks(spark):
+    """Exchanges of many partitions leave a small table in a task a core, not in all of them."""
+    from gapselect.llm.ngram_join import _able_to_link
+
+    conf = {"spark.sql.shuffle.partitions": "64", "spark.sql.adaptive.coalescePartitions.enabled": "false", "spark.sql.autoBroadcastJoinThreshold": "-1"}
+    held = {k: spark.conf.get(k) for k in conf}
+    rows = [(k, 20, t, 19) for t in range(40) for k in range(50)]
+    try:
+        for k, v in conf.items():
+            spark.conf.set(k, v)
+        kept = _able_to_link(spark.createDataFrame(rows, "node long, n long, token long, left int"), 85)
+        assert kept.rdd.getNumPartitions() == spark.sparkContext.defaultParallelism and kept.count() == len(rows)
+    finally:
+        for k, v in held.items():
+            spark.conf.set(k, v)
