@@ -286,3 +286,17 @@ def test_near_pairs_are_made_once_and_not_exchanged(spark):
     want = sorted((x[0], y[0]) for x in rows for y in rows if sum(u != v for u, v in zip(x[1:], y[1:])) <= 1)
     assert sorted(map(tuple, out.collect())) == want
     assert "Aggregate" not in out._jdf.queryExecution().executedPlan().toString()
+
+
+def test_blocks_sum_sets_where_their_cells_are(small, monkeypatch):
+    """Values of blocks are those of the cuboid, with sets of each subgroup as well, and no
+    cell of a set is a row."""
+    spec = FeatureSpec(("a", "b", "c", "d"))
+    packed = prep.pack(prep.encode(small, spec), spec)
+    masks = band(spec.n, 1, 3)
+    only = {0: masks[::2], 1: masks[1::3]}
+    monkeypatch.setattr(info, "counts_blocks", None)
+    for some in (None, only):
+        want, got = ({(r["sg"], r["mask"]): r for r in info.lattice_mi(packed, spec, masks, how, "miller_madow", only=some).collect()} for how in ("cuboid", "blocks"))
+        assert want.keys() == got.keys() and want
+        assert all(got[k]["n"] == want[k]["n"] and abs(got[k]["mi"] - want[k]["mi"]) < 1e-9 for k in want)
