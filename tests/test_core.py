@@ -300,3 +300,19 @@ def test_blocks_sum_sets_where_their_cells_are(small, monkeypatch):
         want, got = ({(r["sg"], r["mask"]): r for r in info.lattice_mi(packed, spec, masks, how, "miller_madow", only=some).collect()} for how in ("cuboid", "blocks"))
         assert want.keys() == got.keys() and want
         assert all(got[k]["n"] == want[k]["n"] and abs(got[k]["mi"] - want[k]["mi"]) < 1e-9 for k in want)
+
+
+@pytest.mark.parametrize("only", [None, {0: [1, 3, 7, 44], 1: [2, 6, 28]}])
+def test_small_sets_are_counted_inside_tasks(spark, sf, only):
+    """Same constructs as from block cells, of rows and of weighted cells, and no row for each set or block."""
+    from gapselect.baselines.knn import cells_of
+    from gapselect.queries.base import prepared
+
+    packed, spec = prepared(spark, sf, "v_device", 6)
+    masks = band(6, 1, 3) if only is None else sorted({m for own in only.values() for m in own})
+    want = sorted(map(tuple, info.lattice_mi(packed, spec, masks, "blocks", only=only).collect()))
+    for rows in (packed, cells_of(packed)):
+        got = info.lattice_mi(rows, spec, masks, only=only)
+        assert "Generate" not in got._jdf.queryExecution().executedPlan().toString()
+        assert [r[:3] + r[4:] for r in want] == [r[:3] + r[4:] for r in sorted(map(tuple, got.collect()))]
+        assert [r[3] for r in sorted(map(tuple, got.collect()))] == pytest.approx([r[3] for r in want], abs=1e-12)
