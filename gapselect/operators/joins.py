@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from functools import reduce
+from itertools import combinations
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -43,19 +46,29 @@ def range_join(left: DataFrame, bins: DataFrame, value: str, low: str, high: str
 
 def near_pairs(left: DataFrame, right: DataFrame, parts: list[list[str]], key: str, most: int) -> DataFrame:
     """(a, b) of rows that differ in at most ``most`` columns, where ``parts`` splits the
-    columns into more than ``most`` groups: one group must agree, and is the join key. The
-    first group that agrees makes the pair, so none comes twice and no pairs are exchanged."""
+    columns into more than ``most`` groups: all but ``most`` groups must agree, and are the
+    join key, so with groups of one column every pair that meets is a result. The first groups
+    left out that fit make the pair, so none comes twice and no pairs are exchanged. A row with
+    a null is near to none. Few rows make many pairs: the left ones are dealt to all cores, and
+    the right ones of a key are cut into as many shares, which may lie in different tasks."""
     if len(parts) <= most:
         raise ValueError("more parts than differences are needed")
     cols = [c for p in parts for c in p]
-    out, before = None, F.lit(False)
-    for p in parts:
-        a, b = left.alias("a"), right.alias("b")
-        same = F.lit(True)
-        for c in p:
-            same = same & (F.col(f"a.{c}") == F.col(f"b.{c}"))
-        gap = sum([F.when(F.col(f"a.{c}") != F.col(f"b.{c}"), 1).otherwise(0) for c in cols[1:]], F.when(F.col(f"a.{cols[0]}") != F.col(f"b.{cols[0]}"), 1).otherwise(0))
-        hit = a.join(b, same & (gap <= most) & ~before).select(F.col(f"a.{key}").alias("a"), F.col(f"b.{key}").alias("b"))
+    cores = left.sparkSession.sparkContext.defaultParallelism
+    a = left.select(key, *cols).na.drop(subset=cols).repartition(4 * cores, key).withColumn("__s", F.explode(F.sequence(F.lit(0), F.lit(cores - 1)))).alias("a")
+    b = right.select(key, *cols).na.drop(subset=cols).withColumn("__s", F.pmod(F.hash(key), F.lit(cores))).alias("b")
+
+    def same(groups) -> Column:
+        return reduce(lambda x, y: x & y, [F.col(f"a.{c}") == F.col(f"b.{c}") for i in sorted(groups) for c in parts[i]], F.lit(True))
+
+    out, tried = None, []
+    for free in map(set, combinations(range(len(parts)), most)):
+        meet = (F.col("a.__s") == F.col("b.__s")) & same(set(range(len(parts))) - free)
+        if sum(len(parts[i]) for i in free) > most:
+            meet = meet & (sum([F.when(F.col(f"a.{c}") != F.col(f"b.{c}"), 1).otherwise(0) for i in free for c in parts[i]], F.lit(0)) <= most)
+        for before in tried:
+            meet = meet & ~same(free - before)
+        tried.append(free)
+        hit = a.join(b, meet).select(F.col(f"a.{key}").alias("a"), F.col(f"b.{key}").alias("b"))
         out = hit if out is None else out.unionByName(hit)
-        before = before | F.coalesce(same, F.lit(False))
     return out

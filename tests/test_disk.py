@@ -1,10 +1,14 @@
 """Room on disk and work of large tables: rows are stored in few bytes, tables are not shuffled
-in vain."""
+in vain, near pairs are made by all cores."""
 
 import os
 
+from pyspark.sql import functions as F
+
 from gapselect import experiments as ex
+from gapselect.operators import joins
 from gapselect.sources.tables import spread
+from gapselect.views import view
 
 
 def _bytes(folder: str) -> int:
@@ -34,3 +38,16 @@ def test_tables_of_many_row_groups_are_not_shuffled(spark, tmp_path):
         parquet.write_table(table, tmp_path / f"{name}.parquet", row_group_size=rows)
         out = spread(spark.read.parquet(str(tmp_path / f"{name}.parquet")))
         assert ("Exchange" in _plan(out)) == shuffled and out.count() == 1000
+
+
+def test_near_pairs_use_all_cores(spark, sf):
+    """One small file makes many pairs: no task makes them all, and a null is near to none."""
+    v = view(spark, sf, "v_device").select("id", "sg", "type", "size_bin", "key_fifth", "brand_bin")
+    out = joins.near_pairs(v.filter("sg = 0"), v.filter("sg = 1"), [["type"], ["size_bin"], ["key_fifth"], ["brand_bin"]], "id", 1)
+    sizes = [r["count"] for r in out.withColumn("p", F.spark_partition_id()).groupBy("p").count().collect()]
+    assert max(sizes) < sum(sizes) / 4
+    rows = spark.createDataFrame([(1, 1, 1, None), (2, 1, 1, 1), (3, 1, 2, 1), (4, 2, 2, 1)], "id long, p int, q int, r int")
+    near = joins.near_pairs(rows, rows, [["p"], ["q"], ["r"]], "id", 1)
+    assert sorted(map(tuple, near.collect())) == [(2, 2), (2, 3), (3, 2), (3, 3), (3, 4), (4, 3), (4, 4)]
+    two = joins.near_pairs(rows, rows, [["p"], ["q"], ["r"]], "id", 2)
+    assert sorted(map(tuple, two.collect())) == [(x, y) for x in (2, 3, 4) for y in (2, 3, 4)]
