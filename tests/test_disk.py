@@ -1,11 +1,12 @@
 """Room on disk and work of large tables: rows are stored in few bytes, tables are not shuffled
-in vain, near pairs are made by all cores."""
+in vain, neighbours are found block by block, near pairs are made by all cores."""
 
 import os
 
 from pyspark.sql import functions as F
 
 from gapselect import experiments as ex
+from gapselect.baselines import knn
 from gapselect.operators import joins
 from gapselect.sources.tables import spread
 from gapselect.views import view
@@ -40,6 +41,22 @@ def test_tables_of_many_row_groups_are_not_shuffled(spark, tmp_path):
         assert ("Exchange" in _plan(out)) == shuffled and out.count() == 1000
 
 
+def test_neighbours_in_blocks_are_not_shuffled(spark, sf, monkeypatch):
+    """Beyond one block donors are gone through in the tasks of the receivers, for all
+    distances and with limits, with the result of one block; cells are made once."""
+    pb = ex.problem(spark, sf.replace("0.001", "0.01"), "v_device", truth=False)
+    columns = {0: 0b101, 1: 0b1110010}
+    found = []
+    for most in (knn.MOST_DONORS, 100):
+        monkeypatch.setattr(knn, "MOST_DONORS", most)
+        for how in ("mismatch", "ignore"):
+            for some in (None, columns):
+                out = knn.knn_impute(pb.masked, pb.spec, 5, how, columns=some, pool=pb.pool)
+                assert not any(x in _plan(out) for x in ("Exchange", "CoGroup"))
+                found.append(sorted(map(tuple, out.collect())))
+    assert found[:4] == found[4:] and found[0] != found[1]
+
+
 def test_near_pairs_use_all_cores(spark, sf):
     """One small file makes many pairs: no task makes them all, and a null is near to none."""
     v = view(spark, sf, "v_device").select("id", "sg", "type", "size_bin", "key_fifth", "brand_bin")
